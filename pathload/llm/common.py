@@ -123,10 +123,16 @@ def bucket_of(key: np.ndarray, n: int) -> np.ndarray:
     return ((key >> U64(33)) * U64(n) >> U64(31)).astype(np.int64)
 
 
+_WEIGHTS: dict[str, np.ndarray] = {}
+
+
 def byte_weights(seed: str) -> np.ndarray:
     """256 random odd 64-bit weights from a seed."""
+    if seed in _WEIGHTS:
+        return _WEIGHTS[seed]
     raw = b"".join(hashlib.sha256(f"{seed}:{i}".encode()).digest()[:8] for i in range(256))
-    return np.frombuffer(raw, U64) | U64(1)
+    _WEIGHTS[seed] = np.frombuffer(raw, U64) | U64(1)
+    return _WEIGHTS[seed]
 
 
 _POWERS: dict[int, tuple[np.ndarray, np.ndarray]] = {}
