@@ -2,15 +2,16 @@
 
 from __future__ import annotations
 
-from pathload.llm import bpe, packing, runlength, secrets, toxicity, warc, windows
+from pathload.llm import bpe, jaccard, packing, runlength, secrets, toxicity, warc, windows
 
 QUERIES = {
     "op1_runlength": runlength.op1_runlength,
     "op2_secrets": secrets.op2_secrets,
+    "op4_jaccard": jaccard.op4_jaccard,
     "op6_packing": packing.op6_packing,
     "op7_bpe": bpe.op7_bpe,
     "op8_warc": warc.op8_warc,
     "op9_toxicity": toxicity.op9_toxicity,
     "op10_windows": windows.op10_windows,
 }
-ORACLES = {"op1_runlength": runlength.ORACLE, "op8_warc": warc.ORACLE, "op10_windows": windows.ORACLE}
+ORACLES = {"op1_runlength": runlength.ORACLE, "op4_jaccard": jaccard.ORACLE, "op8_warc": warc.ORACLE, "op10_windows": windows.ORACLE}
