@@ -150,8 +150,9 @@ class RunLengthIndex:
 class ByteRepeats(Repeats):
     """Strings of `length` bytes that also start in a text of a smaller id."""
 
-    def __init__(self, length: int = 50, gram: int = 16):
-        self.length, self.gram = length, gram
+    def __init__(self, length: int = 50, gram: int = 16, whole_characters: bool = False):
+        """whole_characters: intervals shrink to UTF-8 character borders, so that what stays is text."""
+        self.length, self.gram, self.whole_characters = length, gram, whole_characters
         self.width = 2 * length - gram  # the longest super-string
         self.record = np.dtype([("doc", "<i8"), ("anchor", "<u8"), ("row", "<u4"), ("at", "<u4"), ("size", "<u2"), ("text", "u1", (self.width,))])
 
@@ -266,6 +267,8 @@ class ByteRepeats(Repeats):
 
     def drop(self, text, marks):
         spans = list(zip(marks["start"].tolist(), marks["end"].tolist(), strict=True))
+        if self.whole_characters:
+            spans = [s for s in (self._shrunk(text, a, b) for a, b in spans) if s[0] < s[1]]
         if not spans:
             return text, len(text), 0, spans
         out, at = [], 0
@@ -276,9 +279,18 @@ class ByteRepeats(Repeats):
         return kept, len(text), len(text) - len(kept), spans
 
 
-def drop_repeated_bytes(docs: DataFrame, length: int = 50, key: str = "doc_id", text: str = "text", carry: tuple[str, ...] = ()) -> DataFrame:
+    @staticmethod
+    def _shrunk(text: bytes, a: int, b: int) -> tuple[int, int]:
+        while a < b and text[a] & 0xC0 == 0x80:
+            a += 1
+        while a < b < len(text) and text[b] & 0xC0 == 0x80:
+            b -= 1
+        return a, b
+
+
+def drop_repeated_bytes(docs: DataFrame, length: int = 50, key: str = "doc_id", text: str = "text", carry: tuple[str, ...] = (), whole_characters: bool = False) -> DataFrame:
     """Each text without the bytes that a text of smaller id has too: (key, carried, kept binary, n_units, n_removed, spans)."""
-    return without_repeats(docs, ByteRepeats(length), key, text, carry)
+    return without_repeats(docs, ByteRepeats(length, whole_characters=whole_characters), key, text, carry)
 
 
 def op1_runlength(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -142,6 +142,19 @@ def scan_secrets(docs: DataFrame, threshold: float = 0.55, key: str = "doc_id",
     return kept.mapInArrow(scan, f"`{key}` {kept.schema[key].dataType.simpleString()}, spans array<struct<kind:string,start:int,end:int>>, redacted string")
 
 
+def with_redacted(docs: DataFrame, threshold: float = 0.55, text: str = "text") -> DataFrame:
+    """All columns, the text with its secrets replaced by marks; a null text stays null."""
+    at = docs.columns.index(text)
+
+    def clean(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            texts = [t.as_py() for t in b.column(at)]
+            new = pa.array([t if t is None else redact(t, find_spans(t, threshold)) for t in texts], pa.string())
+            yield b.set_column(at, text, new)
+
+    return docs.mapInArrow(clean, docs.schema)
+
+
 def redact(text: str, spans: list[tuple[int, int, int]]) -> str:
     """The text with each union of overlapping spans replaced by one mark."""
     if not spans:

@@ -108,8 +108,8 @@ def learn(sample: DataFrame, entries: int = ENTRIES, least_rows: int = LEAST_ROW
         if found[term] > had + 0.25:
             weights[term] = found[term] - had
     model = {"weights": weights, "slope": 0.0, "shift": 0.0}
-    scored = _raw(sample.select("text", "label"), "label", "int", model).collect()  # two numbers a row of the bounded sample
-    x = np.array([r["raw"] for r in scored])
+    scored = _raw(sample.select("text", "label"), model).select("raw__", "label").collect()  # two numbers a row of the bounded sample
+    x = np.array([r["raw__"] for r in scored])
     y = np.array([float(bool(r["label"])) for r in scored])
     return model | dict(zip(("slope", "shift"), _curve(x, y), strict=True))
 
@@ -167,22 +167,33 @@ def raw_score(text: str, weights: str) -> float:
     return total / math.log(10 + folded.count(" "))
 
 
-def _raw(docs: DataFrame, key: str, kind: str, model: dict) -> DataFrame:
+def _raw(docs: DataFrame, model: dict, text: str = "text") -> DataFrame:
+    """All columns of the frame and raw__, the text's sum."""
     weights = json.dumps(model["weights"], sort_keys=True)
+    at = docs.columns.index(text)
 
     def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            raw = [raw_score(t.as_py() or "", weights) for t in b.column(0)]
-            yield pa.RecordBatch.from_arrays([b.column(1), pa.array(raw, pa.float64())], [key, "raw"])
+            raw = [raw_score(t.as_py() or "", weights) for t in b.column(at)]
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(raw, pa.float64())], [*b.schema.names, "raw__"])
 
-    return docs.select("text", key).mapInArrow(score, f"`{key}` {kind}, raw double")
+    kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
+    return docs.mapInArrow(score, f"{kinds}, raw__ double")
 
 
-def score_toxicity(docs: DataFrame, model: dict, key: str = "doc_id", threshold: float = THRESHOLD) -> DataFrame:
-    """(key, raw, score, predicted) of each whole text."""
-    raw = _raw(docs, key, docs.schema[key].dataType.simpleString(), model)
-    score = raw.withColumn("score", 1 / (1 + F.exp(-(F.col("raw") * model["slope"] + model["shift"]))))
-    return score.withColumn("predicted", (F.col("score") >= threshold).cast("int"))
+def _score(model: dict):
+    return 1 / (1 + F.exp(-(F.col("raw__") * model["slope"] + model["shift"])))
+
+
+def score_toxicity(docs: DataFrame, model: dict, key: str = "doc_id", text: str = "text", threshold: float = THRESHOLD) -> DataFrame:
+    """(key, score, predicted) of each whole text."""
+    scored = _raw(docs.select(key, text), model, text).select(key, _score(model).alias("score"))
+    return scored.withColumn("predicted", (F.col("score") >= threshold).cast("int"))
+
+
+def without_toxic(docs: DataFrame, model: dict, text: str = "text", threshold: float = THRESHOLD) -> DataFrame:
+    """The rows whose texts score below the threshold, with all their columns."""
+    return _raw(docs, model, text).where(_score(model) < threshold).select(*docs.columns)
 
 
 def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
