@@ -30,7 +30,7 @@ from pathload.llm.common import SLICE_BYTES, group_count, staged, table, word_ha
 
 CAPACITY, END_ID = 4096, 1
 #: Words kept with their ids by a worker; the table is emptied when it is full, which never changes results.
-WORDS_KEPT = 600_000
+WORDS_KEPT = 250_000
 #: Texts beyond these letters, with special tokens' marks or with contractions go to the library whole.
 _UNUSUAL = re.compile(rf"[^\t-\r\x20-\x7e{_LETTER}]|İ|<\||'(?:[stmdSTMD]|[rRvV][eE]|[lL][lL])")
 _SPACE, _LETTERS, _DIGIT, _OTHER = 0, 1, 2, 3
