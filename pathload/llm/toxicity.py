@@ -27,7 +27,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from pathload.llm.common import table
+from pathload.llm.common import staged, table
 
 #: Most labelled rows learned from (those of smallest id hash), most lexicon entries, least rows and log odds of an entry.
 SAMPLE_ROWS, ENTRIES, LEAST_ROWS, LEAST_ODDS = 20_000, 4096, 5, 2.0
@@ -67,7 +67,7 @@ def labelled(docs: DataFrame, labels: DataFrame, label: str = "toxic", rows: int
     """(text, label) of at most `rows` labelled rows outside the held-out third."""
     use = labels.where(F.col(label).isNotNull() & F.col("doc_id").isNotNull() & ~held_out("doc_id"))
     use = use.groupBy("doc_id").agg(F.max(label).alias("label")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(rows)
-    return use.join(docs.select("doc_id", "text"), "doc_id").select("text", "label")
+    return staged(docs.select("doc_id", "text").join(F.broadcast(use), "doc_id").select("text", "label"))  # `rows` bounds what is broadcast
 
 
 def held_out(key: str):
