@@ -7,6 +7,8 @@ row each, so the shuffle is a memory copy and its row count stays small.
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 import hashlib
 import tempfile
 import uuid
@@ -55,6 +57,13 @@ def staged(df: DataFrame) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def trim() -> None:
+    """Gives freed memory back to the system, so that a worker holds little between groups."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
+
+
 def text_buffer(col) -> tuple[np.ndarray, np.ndarray]:
     """UTF-8 bytes and offsets (n+1, from 0) of an Arrow string or binary column; null counts as empty."""
     if isinstance(col, pa.ChunkedArray):

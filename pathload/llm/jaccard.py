@@ -33,6 +33,7 @@ from pathload.operators.components import component_roots
 #: Cells of the frequency table; it has this size for any input.
 CELLS = 1 << 18
 POSTING = np.dtype([("token", "<u8"), ("set", "<i8"), ("parts", "<i8"), ("n", "<u4"), ("at", "<u4")])
+BITS = ("b0", "b1", "b2", "b3")
 _UPPER = np.zeros(256, np.uint8)
 _UPPER[65:91] = 32
 
@@ -74,6 +75,20 @@ def set_names(h: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return mix64(_sums(mix64(h), at)).view(np.int64), mix64(_sums(mix64(h ^ U64(0xA5A5A5A5A5A5A5A5)), at)).view(np.int64)
 
 
+def parities(h: np.ndarray, at: np.ndarray) -> list[np.ndarray]:
+    """Four words of 64 bits a set: whether each of 256 hash parts holds an odd number of shingles.
+
+    Bits in which two sets differ are at most the shingles in which they differ.
+    """
+    part = ((h >> U64(20)) & U64(255)).astype(np.int64)
+    out = []
+    for w in range(4):
+        bits = np.where(part >> 6 == w, U64(1) << (part & 63).astype(U64), U64(0))
+        total = np.concatenate([np.zeros(1, U64), np.bitwise_xor.accumulate(bits)]) if len(bits) else np.zeros(1, U64)
+        out.append((total[at[1:]] ^ total[at[:-1]]).view(np.int64))
+    return out
+
+
 def frequencies(docs: DataFrame, k: int, text: str = "text") -> np.ndarray:
     """How often shingles of each cell occur in all documents; a table of CELLS numbers."""
 
@@ -108,7 +123,7 @@ def _ceil_share(n, t: int):
 
 
 def describe_sets(docs: DataFrame, k: int, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """(key, n_shingles, set, set2): size and fingerprints of each text's set."""
+    """(key, n_shingles, set, set2, b0 to b3): size, fingerprints and parities of each text's set."""
 
     def describe(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -116,10 +131,10 @@ def describe_sets(docs: DataFrame, k: int, key: str = "doc_id", text: str = "tex
             for x, y in doc_slices(off):
                 h, at = distinct_sets(data[off[x] : off[y]], off[x : y + 1] - off[x], k)
                 s, s2 = set_names(h, at)
-                yield pa.RecordBatch.from_arrays([b.column(0).slice(x, y - x), pa.array(np.diff(at)), pa.array(s), pa.array(s2)], [key, "n_shingles", "set", "set2"])
+                yield pa.RecordBatch.from_arrays([b.column(0).slice(x, y - x), pa.array(np.diff(at)), pa.array(s), pa.array(s2), *map(pa.array, parities(h, at))], [key, "n_shingles", "set", "set2", *BITS])
 
     kept = docs.select(key, text)
-    return kept.mapInArrow(describe, f"`{key}` {kept.schema[key].dataType.simpleString()}, n_shingles bigint, set bigint, set2 bigint")
+    return kept.mapInArrow(describe, f"`{key}` {kept.schema[key].dataType.simpleString()}, n_shingles bigint, set bigint, set2 bigint, b0 bigint, b1 bigint, b2 bigint, b3 bigint")
 
 
 def prefix_postings(docs: DataFrame, k: int, t: int, text: str = "text") -> DataFrame:
@@ -177,8 +192,8 @@ def prefix_postings(docs: DataFrame, k: int, t: int, text: str = "text") -> Data
 def _filters(t: int):
     """Length, positional and suffix filters over postings x and y of one shingle."""
     nx, ny = F.col("x.n"), F.col("y.n")
-    need = F.floor((t * (nx + ny) + (99 + t)) / (100 + t))  # least intersection
     length = 100 * F.least(nx, ny) >= t * F.greatest(nx, ny)
+    need = F.floor((t * (nx + ny) + (99 + t)) / (100 + t))  # least intersection
     positional = F.least(nx - F.col("x.at"), ny - F.col("y.at")) >= need
     part = lambda side, q: F.shiftright(F.col(f"{side}.parts"), 16 * q).bitwiseAND(F.lit(0xFFFF))
     apart = sum((F.abs(part("x", q) - part("y", q)) for q in range(1, 4)), F.abs(part("x", 0) - part("y", 0)))
@@ -207,11 +222,18 @@ def _across(postings: DataFrame, roots: DataFrame) -> DataFrame:
     return own.join(mixed, "token", "left_semi")
 
 
-def all_candidates(postings: DataFrame, t: int, roots: DataFrame) -> DataFrame:
-    """(p, q): all pairs of different components that share a shingle's postings and pass the filters."""
-    own = _across(postings, roots)
+def all_candidates(postings: DataFrame, t: int, roots: DataFrame, sketches: DataFrame) -> DataFrame:
+    """(p, q): all pairs of different components that share a shingle's postings and pass the filters.
+
+    sketches: (set, b0 to b3). Differing parity bits bound the sets' difference from
+    below, so the suffix filter is decided inside the join.
+    """
+    own = staged(_across(postings, roots).join(sketches, "set"))
     x, y = own.alias("x"), own.alias("y")
-    return _pairs(x.join(y, (F.col("x.token") == F.col("y.token")) & (F.col("x.root") < F.col("y.root")) & _filters(t)))
+    nx, ny = F.col("x.n"), F.col("y.n")
+    odd = sum((F.bit_count(F.col(f"x.{b}").bitwiseXOR(F.col(f"y.{b}"))) for b in BITS[1:]), F.bit_count(F.col("x.b0").bitwiseXOR(F.col("y.b0"))))
+    near = odd <= nx + ny - 2 * F.floor((t * (nx + ny) + (99 + t)) / (100 + t))
+    return _pairs(x.join(y, (F.col("x.token") == F.col("y.token")) & (F.col("x.root") < F.col("y.root")) & _filters(t) & near))
 
 
 def verified(pairs: DataFrame, texts: DataFrame, k: int, t: int) -> DataFrame:
@@ -248,9 +270,9 @@ def jaccard_components(docs: DataFrame, k: int = 5, t: int = 80, key: str = "doc
     docs = docs.select(key, text)
     sets = staged(describe_sets(docs, k, key, text))
     postings = staged(prefix_postings(docs, k, t, text))
-    classes = sets.where(f"n_shingles > 0 and `{key}` is not null").groupBy("set", "set2", "n_shingles").agg(F.min(key).alias("first"))
+    classes = sets.where(f"n_shingles > 0 and `{key}` is not null").groupBy("set", "set2", "n_shingles").agg(F.min(key).alias("first"), *(F.min(b).alias(b) for b in BITS))
     # A set's name has 64 bits; should two sets ever share one, the pair is kept apart here and neither is linked through it.
-    named = classes.groupBy("set").agg(F.min("first").alias("first"), F.count(F.lit(1)).alias("names")).where("names = 1").drop("names")
+    named = classes.groupBy("set").agg(F.min("first").alias("first"), F.count(F.lit(1)).alias("names"), *(F.min(b).alias(b) for b in BITS)).where("names = 1").drop("names")
     there = postings.select("set").distinct()
     chosen = named.join(there, "set").select(F.col("first").alias(key), "set")
     # A repeated id may have several texts: the one that made the set stays.
@@ -260,7 +282,7 @@ def jaccard_components(docs: DataFrame, k: int = 5, t: int = 80, key: str = "doc
     links, tried, roots = None, None, None
     for step in ("first", "second", "all"):
         if step == "all":
-            found = all_candidates(postings, t, roots)
+            found = all_candidates(postings, t, roots, named.select("set", *BITS))
         else:
             found = star_candidates(postings, t, 1 if step == "first" else 2, roots)
         if tried is not None:
@@ -274,7 +296,6 @@ def jaccard_components(docs: DataFrame, k: int = 5, t: int = 80, key: str = "doc
         links = staged(good if links is None else links.unionByName(good))
         tried = found if tried is None else tried.unionByName(found)
         roots = staged(component_roots(links, "p", "q"))
-    base = sets.withColumn("set_", F.struct("set", "set2", "n_shingles"))
     if roots is None:
         member = classes.withColumn("component_id", F.col("first"))
     else:
@@ -282,7 +303,7 @@ def jaccard_components(docs: DataFrame, k: int = 5, t: int = 80, key: str = "doc
         least = placed.groupBy("root").agg(F.min("first").alias("component_id"))
         member = placed.join(least, "root")
     member = member.select("set", "set2", "n_shingles", "component_id")
-    return base.drop("set_").join(member, ["set", "set2", "n_shingles"], "left").select(key, F.col("n_shingles").cast("long").alias("n_shingles"), F.when(F.col(key).isNotNull(), F.coalesce("component_id", key)).alias("component_id"))
+    return sets.drop(*BITS).join(member, ["set", "set2", "n_shingles"], "left").select(key, F.col("n_shingles").cast("long").alias("n_shingles"), F.when(F.col(key).isNotNull(), F.coalesce("component_id", key)).alias("component_id"))
 
 
 def describe_texts(texts: DataFrame, k: int, text: str = "text") -> DataFrame:
