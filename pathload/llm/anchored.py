@@ -25,7 +25,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from pathload.llm.common import U64, bucket_of, estimated_bytes, group_count, least_in_window, packed, text_buffer, unpacked
+from pathload.llm.common import U64, bucket_of, estimated_bytes, group_count, least_in_window, packed, text_buffer, trim, unpacked
 
 PART, BUCKET, BLOCK, MARKS = "part__", "bucket__", "block__", "marks__"
 INTERVAL = np.dtype([("row", "<u4"), ("start", "<u4"), ("end", "<u4")])
@@ -117,12 +117,13 @@ def _blocks(bucket: np.ndarray, records: np.ndarray, source: int) -> pa.Table:
 def without_repeats(docs: DataFrame, kind: Repeats, key: str = "doc_id", text: str = "text", carry: tuple[str, ...] = ()) -> DataFrame:
     """(key, carried columns, kept binary, n_units, n_removed, spans): each row's text without its repeats."""
     docs = docs.select(key, text, *carry)
-    parts = group_count(docs, 4 << 20, 2)
-    owners = group_count(docs, 4 << 20, 2)
+    parts = group_count(docs, 2 << 20, 4)
+    owners = group_count(docs, 1 << 20, 2)
     dealt = docs.withColumn(PART, F.pmod(F.xxhash64(key, text), F.lit(parts)).cast("int"))
     grouped = lambda df, by=PART: df.groupBy(by)
 
     def send_anchors(key_: tuple, rows: pa.Table) -> pa.Table:
+        trim()
         data, off = text_buffer(rows.column(text))
         h = np.sort(kind.anchors(data, off) & ~U64(1))
         first = np.append(True, h[1:] != h[:-1]) if len(h) else np.zeros(0, bool)
@@ -132,6 +133,7 @@ def without_repeats(docs: DataFrame, kind: Repeats, key: str = "doc_id", text: s
         return _blocks(bucket_of(h, owners), h, key_[0].as_py())
 
     def suspect(rows: pa.Table) -> pa.Table:
+        trim()
         blocks = rows.column(BLOCK)
         h = unpacked(blocks, np.dtype(U64))
         size = np.diff(text_buffer(blocks)[1]) // 8
@@ -141,6 +143,7 @@ def without_repeats(docs: DataFrame, kind: Repeats, key: str = "doc_id", text: s
         return pa.table({PART: made.column(0), BLOCK: made.column(1)})
 
     def send_windows(key_: tuple, rows: pa.Table, suspects: pa.Table) -> pa.Table:
+        trim()
         rows = _ordered(rows, key, text)
         data, off = text_buffer(rows.column(text))
         known = np.unique(unpacked(suspects.column(BLOCK), np.dtype(U64)))
@@ -153,6 +156,7 @@ def without_repeats(docs: DataFrame, kind: Repeats, key: str = "doc_id", text: s
         return out
 
     def decide(rows: pa.Table) -> pa.Table:
+        trim()
         blocks = rows.column(BLOCK)
         records = unpacked(blocks, kind.record)
         source = np.repeat(rows.column(PART).to_numpy(), np.diff(text_buffer(blocks)[1]) // kind.record.itemsize)
@@ -163,6 +167,7 @@ def without_repeats(docs: DataFrame, kind: Repeats, key: str = "doc_id", text: s
         return pa.concat_tables([out, pa.table({PART: settled.column(PART), BLOCK: settled.column(MARKS)}, schema=out.schema)])
 
     def finish(rows: pa.Table, marks: pa.Table) -> pa.Table:
+        trim()
         rows = _ordered(rows, key, text)
         data, off = text_buffer(rows.column(text))
         raw, off = data.tobytes(), off.tolist()

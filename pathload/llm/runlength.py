@@ -29,7 +29,9 @@ from pathload.llm.windows import _by_source
 
 _LAST = np.iinfo(np.int64).max
 #: Bytes of text in one numpy pass.
-_STEP = 1 << 20
+_STEP = 1 << 18
+#: Super-strings that an owner indexes at once; those of one anchor stay together.
+_INDEXED = 20_000
 
 
 class RunLengthIndex:
@@ -241,8 +243,16 @@ class ByteRepeats(Repeats):
         return group, order[new]
 
     def decide(self, records, source):
+        """Anchors in ranges of about _INDEXED super-strings, one index each: equal windows have equal anchors."""
         if not len(records):
             return _by_source(source, np.zeros(0), np.zeros(0), self.length)
+        order = np.argsort(records["anchor"], kind="stable")
+        anchors = records["anchor"][order]
+        cuts = np.unique(np.searchsorted(anchors, anchors[np.arange(0, len(anchors), _INDEXED)], "left"))
+        done = [self._decide(records[part], source[part]) for part in np.split(order, cuts[1:])]
+        return tuple(np.concatenate(x) for x in zip(*done, strict=True))
+
+    def _decide(self, records, source):
         group, one = self._equal(records)
         least = np.full(len(one), _LAST, np.int64)
         np.minimum.at(least, group, records["doc"])
@@ -250,8 +260,9 @@ class ByteRepeats(Repeats):
         _, which, often = np.unique(anchor, return_inverse=True, return_counts=True)
         mixed = often[which] > 1  # super-strings that share an anchor with a different one
         place = np.cumsum(mixed) - 1
-        index = RunLengthIndex(records["text"][one[mixed]], records["size"][one[mixed]], self.length)
-        ids = index.least_ids(least[mixed])
+        ids = np.zeros((0, 0), np.int64)
+        if mixed.any():
+            ids = RunLengthIndex(records["text"][one[mixed]], records["size"][one[mixed]], self.length).least_ids(least[mixed])
         rows, starts, sizes, sources = [], [], [], []
 
         def mark(which_, start, size):
