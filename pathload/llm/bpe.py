@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pathload.llm.common import table
 
 #: Pieces kept with their ids by a worker; the table is emptied when it is full, which never changes results.
-PIECES_KEPT = 600_000
+PIECES_KEPT = 300_000
 #: Only texts of these letters take the built-in regex engine; in them both engines split alike.
 _LETTER = "A-Za-zÀ-ÖØ-öø-ɏ"
 _UNUSUAL = re.compile(rf"[^\t-\r\x20-\x7e{_LETTER}]")
@@ -107,7 +107,7 @@ class BacktrackingBpe:
                 if y + 1 == bound:
                     bound, x = x, self.right[x]
                     good = True if x == bound else None
-        if len(self.fits) > 500_000:
+        if len(self.fits) > 250_000:
             self.fits.clear()
         self.fits[key] = good
         return good
