@@ -218,7 +218,7 @@ def export_files(normal: DataFrame, folder: str) -> None:
 def import_files(spark: SparkSession, folder: str) -> DataFrame:
     """(archive, content) of the gzip files of a folder, whole-file streams or members alike."""
     found = spark.read.format("binaryFile").option("pathGlobFilter", "*.warc.gz").load(folder)
-    return found.select(F.xxhash64("path").cast("int").alias("archive"), "content")
+    return found.select(F.pmod(F.xxhash64("path"), F.lit(2**31 - 1)).cast("int").alias("archive"), "content")
 
 
 def op8_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
