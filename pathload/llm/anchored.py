@@ -25,7 +25,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from pathload.llm.common import U64, bucket_of, estimated_bytes, group_count, least_in_window, packed, text_buffer, trim, unpacked
+from pathload.llm.common import U64, bucket_of, estimated_bytes, group_count, least_in_window, mix64, packed, text_buffer, trim, unpacked
 
 PART, BUCKET, BLOCK, MARKS = "part__", "bucket__", "block__", "marks__"
 INTERVAL = np.dtype([("row", "<u4"), ("start", "<u4"), ("end", "<u4")])
@@ -109,6 +109,11 @@ def _ordered(rows: pa.Table, key: str, text: str) -> pa.Table:
     return rows.sort_by([(key, "ascending"), (text, "ascending")]).combine_chunks()
 
 
+def owner_of(anchor: np.ndarray, owners: int) -> np.ndarray:
+    """Anchors are least hashes, so small ones are common: their owner comes from a second mix."""
+    return bucket_of(mix64(anchor & ~U64(1)), owners)
+
+
 def _blocks(bucket: np.ndarray, records: np.ndarray, source: int) -> pa.Table:
     made = packed(bucket, records)
     return pa.table({BUCKET: made.column(0), PART: pa.array(np.full(made.num_rows, source, np.int32)), BLOCK: made.column(1)})
@@ -130,7 +135,7 @@ def without_repeats(docs: DataFrame, kind: Repeats, key: str = "doc_id", text: s
         at = np.flatnonzero(first)
         twice = np.diff(np.append(at, len(h))) > 1
         h = h[at] | twice.astype(U64)
-        return _blocks(bucket_of(h, owners), h, key_[0].as_py())
+        return _blocks(owner_of(h, owners), h, key_[0].as_py())
 
     def suspect(rows: pa.Table) -> pa.Table:
         trim()
@@ -149,7 +154,8 @@ def without_repeats(docs: DataFrame, kind: Repeats, key: str = "doc_id", text: s
         known = np.unique(unpacked(suspects.column(BLOCK), np.dtype(U64)))
         h, records, settled = kind.windows(data, off, rows.column(key).combine_chunks(), known)
         source = (key_[0].as_py() if key_[0].is_valid else 0) if len(key_) else 0
-        out = _blocks(bucket_of(h & ~U64(1), owners), records, source).append_column(MARKS, pa.nulls(0, pa.binary()) if not len(h) else pa.array([None] * len(np.unique(bucket_of(h & ~U64(1), owners))), pa.binary()))
+        out = _blocks(owner_of(h, owners), records, source)
+        out = out.append_column(MARKS, pa.nulls(out.num_rows, pa.binary()))
         if len(settled):
             own = pa.table({BUCKET: pa.array([source % owners], pa.int32()), PART: pa.array([source], pa.int32()), BLOCK: pa.array([None], pa.binary()), MARKS: pa.array([settled.tobytes()], pa.binary())})
             out = pa.concat_tables([out, own])
