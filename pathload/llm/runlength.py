@@ -31,7 +31,7 @@ _LAST = np.iinfo(np.int64).max
 #: Bytes of text in one numpy pass.
 _STEP = 1 << 18
 #: Super-strings that an owner indexes at once; those of one anchor stay together.
-_INDEXED = 20_000
+_INDEXED = 6_000
 
 
 class RunLengthIndex:
