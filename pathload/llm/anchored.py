@@ -25,7 +25,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from pathload.llm.common import U64, bucket_of, estimated_bytes, group_count, least_in_window, mix64, packed, text_buffer, trim, unpacked
+from pathload.llm.common import U64, bucket_of, least_in_window, mix64, packed, size_groups, text_buffer, trim, unpacked
 
 PART, BUCKET, BLOCK, MARKS = "part__", "bucket__", "block__", "marks__"
 INTERVAL = np.dtype([("row", "<u4"), ("start", "<u4"), ("end", "<u4")])
@@ -122,8 +122,7 @@ def _blocks(bucket: np.ndarray, records: np.ndarray, source: int) -> pa.Table:
 def without_repeats(docs: DataFrame, kind: Repeats, key: str = "doc_id", text: str = "text", carry: tuple[str, ...] = ()) -> DataFrame:
     """(key, carried columns, kept binary, n_units, n_removed, spans): each row's text without its repeats."""
     docs = docs.select(key, text, *carry)
-    parts = group_count(docs, 2 << 20, 4)
-    owners = group_count(docs, 1 << 20, 2)
+    parts, owners = size_groups(docs, 2 << 20), size_groups(docs, 1 << 20)
     dealt = docs.withColumn(PART, F.pmod(F.xxhash64(key, text), F.lit(parts)).cast("int"))
     grouped = lambda df, by=PART: df.groupBy(by)
 

@@ -44,6 +44,12 @@ def group_count(df: DataFrame, target_bytes: int = 8 << 20, per_partition: int =
     return int(max(shuffle_parts(spark) * per_partition, by_size))
 
 
+def size_groups(df: DataFrame, target_bytes: int) -> int:
+    """Groups of about target_bytes by the size alone: blocks go from each group to each other, so more partitions must not mean more groups."""
+    est = estimated_bytes(df)
+    return int(max(16, -(-est // target_bytes))) if est < 1 << 50 else shuffle_parts(df.sparkSession)
+
+
 def shared_folder(spark: SparkSession) -> str:
     """A fresh folder below spark.checkpoint.dir; a temporary one only where that setting is unset (tests, local mode)."""
     base = spark.conf.get("spark.checkpoint.dir", None) or f"{tempfile.gettempdir()}/pathload-shared"
