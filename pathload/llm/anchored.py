@@ -25,7 +25,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from pathload.llm.common import U64, bucket_of, least_in_window, mix64, packed, size_groups, text_buffer, trim, unpacked
+from pathload.llm.common import U64, bucket_of, least_in_window, mix64, opened, packed, size_groups, squeezed, text_buffer, trim, unpacked
 
 PART, BUCKET, BLOCK, MARKS = "part__", "bucket__", "block__", "marks__"
 INTERVAL = np.dtype([("row", "<u4"), ("start", "<u4"), ("end", "<u4")])
@@ -116,7 +116,8 @@ def owner_of(anchor: np.ndarray, owners: int) -> np.ndarray:
 
 def _blocks(bucket: np.ndarray, records: np.ndarray, source: int) -> pa.Table:
     made = packed(bucket, records)
-    return pa.table({BUCKET: made.column(0), PART: pa.array(np.full(made.num_rows, source, np.int32)), BLOCK: made.column(1)})
+    blocks = squeezed(made.column(1), records.dtype) if records.dtype.names else made.column(1)
+    return pa.table({BUCKET: made.column(0), PART: pa.array(np.full(made.num_rows, source, np.int32)), BLOCK: blocks})
 
 
 def without_repeats(docs: DataFrame, kind: Repeats, key: str = "doc_id", text: str = "text", carry: tuple[str, ...] = ()) -> DataFrame:
@@ -162,9 +163,8 @@ def without_repeats(docs: DataFrame, kind: Repeats, key: str = "doc_id", text: s
 
     def decide(rows: pa.Table) -> pa.Table:
         trim()
-        blocks = rows.column(BLOCK)
-        records = unpacked(blocks, kind.record)
-        source = np.repeat(rows.column(PART).to_numpy(), np.diff(text_buffer(blocks)[1]) // kind.record.itemsize)
+        records, size = opened(rows.column(BLOCK), kind.record)
+        source = np.repeat(rows.column(PART).to_numpy(), size)
         to, marks = kind.decide(records, source)
         made = packed(to, marks)
         out = pa.table({PART: made.column(0), BLOCK: made.column(1)})

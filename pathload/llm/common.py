@@ -16,6 +16,7 @@ import uuid
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+import zstandard
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 #: Bytes of text that a numpy pass holds at once; arrays of 8 bytes a position stay in a few dozen MB.
@@ -122,6 +123,39 @@ def unpacked(col, dtype: np.dtype) -> np.ndarray:
     return np.frombuffer(data.tobytes(), dtype)
 
 
+def squeezed(blocks: pa.Array, dtype: np.dtype) -> pa.Array:
+    """Blocks with numbers as byte planes, compressed where that is shorter; the first byte says which."""
+    press = zstandard.ZstdCompressor(level=1)
+    out = []
+    for raw in blocks:
+        r = np.frombuffer(raw.as_buffer(), dtype)
+        fields = (np.ascontiguousarray(r[f]).view(np.uint8).reshape(len(r), dtype[f].itemsize) for f in dtype.names)
+        plain = b"".join((x if dtype[f].shape else x.T).tobytes() for f, x in zip(dtype.names, fields, strict=True))
+        small = press.compress(plain)
+        out.append(b"\1" + small if len(small) < len(plain) else b"\0" + plain)
+    return pa.array(out, pa.binary())
+
+
+def opened(col, dtype: np.dtype) -> tuple[np.ndarray, np.ndarray]:
+    """(records, number of records of each block) of squeezed blocks; a null block has none."""
+    press = zstandard.ZstdDecompressor()
+    parts, count = [np.zeros(0, dtype)], np.zeros(len(col), np.int64)
+    for i, value in enumerate(col):
+        if not value.is_valid:
+            continue
+        raw = value.as_py()
+        plain = press.decompress(raw[1:]) if raw[0] else raw[1:]
+        n = count[i] = len(plain) // dtype.itemsize
+        r, at = np.empty(n, dtype), 0
+        for f in dtype.names:
+            kind = dtype[f]
+            x = np.frombuffer(plain, np.uint8, n * kind.itemsize, at)
+            r[f] = x.reshape(n, kind.itemsize) if kind.shape else np.ascontiguousarray(x.reshape(kind.itemsize, n).T).view(kind).ravel()
+            at += n * kind.itemsize
+        parts.append(r)
+    return np.concatenate(parts), count
+
+
 def mix64(x: np.ndarray) -> np.ndarray:
     """A bijective finaliser over unsigned 64-bit numbers."""
     x = x.astype(U64, copy=True)

@@ -7,9 +7,10 @@ import re
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
-from pathload.llm import anchored, bpe, forest, jaccard, kdtree, packing, runlength, secrets, toxicity, warc, windows
+from pathload.llm import anchored, bpe, common, forest, jaccard, kdtree, packing, runlength, secrets, toxicity, warc, windows
 
 DOCS = "doc_id bigint, text string, lang string, source string, n_chars bigint"
 
@@ -131,6 +132,17 @@ def test_jaccard(spark, k, t):
     assert got[None][1] is None
 
 
+def test_squeezed_blocks():
+    kind = runlength.ByteRepeats().record
+    r = np.zeros(300, kind)
+    r["doc"], r["text"] = np.arange(300), 97
+    rng = np.random.default_rng(1)
+    for records in (r, r[:1], np.frombuffer(rng.bytes(7 * kind.itemsize), kind)):
+        blocks = common.squeezed(common.packed(np.zeros(len(records), np.int64), records).column(1), kind)
+        back, count = common.opened(pa.chunked_array([blocks, pa.nulls(1, pa.binary())]), kind)
+        assert back.tobytes() == records.tobytes() and count.tolist() == [len(records), 0]
+
+
 def test_sketch_never_low():
     h = np.random.default_rng(1).integers(0, 2**63, 5000).astype(np.uint64) & ~np.uint64(1)
     both = np.concatenate([h, h[:700]])
