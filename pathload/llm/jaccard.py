@@ -9,9 +9,9 @@ and suffix filters, and each candidate pair is verified once against the texts.
 
 Texts with equal sets are one class, settled by fingerprints before any posting is
 compared. To link classes without emitting all pairs of a large group, each
-shingle's postings are first compared with one set of that shingle only; after two
-such rounds the remaining pairs that lie in different components, and only those,
-are verified. No link between components can be missed, as every pair that passes
+shingle's postings are first compared with one set of that shingle only, then with
+one of those that agree with it in some parity bits; the remaining pairs that lie in
+different components, and only those, are verified then. No link between components can be missed, as every pair that passes
 the filters is verified or already connected.
 
 Contracts: null and empty texts, and texts without words, have empty sets and are
@@ -204,15 +204,29 @@ def _pairs(joined: DataFrame) -> DataFrame:
     return joined.select(F.least("x.set", "y.set").alias("p"), F.greatest("x.set", "y.set").alias("q")).where("p <> q").distinct()
 
 
-def star_candidates(postings: DataFrame, t: int, seed: int, roots: DataFrame | None = None) -> DataFrame:
-    """(p, q): each posting with the posting of its shingle that comes first in a random order of sets."""
-    if roots is not None:
-        postings = _across(postings, roots)
-    first = F.struct(F.xxhash64("set", F.lit(seed)).alias("o"), "set", "parts", "n", "at", *(["root"] if roots is not None else []))
-    y = postings.groupBy("token").agg(F.min(first).alias("f")).select("token", "f.*").alias("y")
-    x = postings.alias("x")
-    joined = x.join(y, F.col("x.token") == F.col("y.token")).where(_filters(t))
-    return _pairs(joined if roots is None else joined.where("x.root <> y.root"))
+def _stars(x: DataFrame, by: list[str], t: int, seed: int, more: list[str]) -> DataFrame:
+    """Postings x joined with one of their group: of those with the fewest rarer shingles, which are most like the others, a random one."""
+    first = F.struct("at", F.xxhash64("set", F.lit(seed)).alias("o"), "set", "parts", "n", *more)
+    y = x.groupBy(*by).agg(F.min(first).alias("f")).select(*by, "f.*").alias("y")
+    same = [F.col(f"x.{c}") == F.col(f"y.{c}") for c in by]
+    return x.alias("x").join(y, same).where(_filters(t))
+
+
+def star_candidates(postings: DataFrame, t: int) -> DataFrame:
+    """(p, q): each posting with one posting of its shingle."""
+    return _pairs(_stars(postings, ["token"], t, 1, []))
+
+
+def near_candidates(postings: DataFrame, t: int, roots: DataFrame, sketches: DataFrame) -> DataFrame:
+    """(p, q) of different components: stars among the postings of a shingle that agree in six parity bits.
+
+    Each shingle looks at bits of its own, so a set meets as many others as it has
+    shingles, mostly such as differ from it little; there is one pair a posting at most.
+    """
+    word = F.element_at(F.array(*BITS), (F.pmod("token", F.lit(4)) + 1).cast("int"))
+    bits = F.call_function("shiftright", word, F.pmod(F.shiftright("token", 2), F.lit(58)).cast("int")).bitwiseAND(F.lit(63))
+    x = _across(postings, roots).join(sketches, "set").withColumn("bits", bits).drop(*BITS)
+    return _pairs(_stars(x, ["token", "bits"], t, 2, ["root"]).where("x.root <> y.root"))
 
 
 def _across(postings: DataFrame, roots: DataFrame) -> DataFrame:
@@ -280,11 +294,11 @@ def jaccard_components(docs: DataFrame, k: int = 5, t: int = 80, key: str = "doc
     own = describe_texts(texts, k, text)
     texts = staged(own)
     links, tried, roots = None, None, None
-    for step in ("first", "second", "all"):
-        if step == "all":
-            found = all_candidates(postings, t, roots, named.select("set", *BITS))
+    for step in ("first", "near", "all"):
+        if step == "first":
+            found = star_candidates(postings, t)
         else:
-            found = star_candidates(postings, t, 1 if step == "first" else 2, roots)
+            found = (near_candidates if step == "near" else all_candidates)(postings, t, roots, named.select("set", *BITS))
         if tried is not None:
             found = found.join(tried, ["p", "q"], "left_anti")
         found = staged(found)
