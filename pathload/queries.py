@@ -12,7 +12,7 @@ from pathload.operators.components import cut_lineage
 from pathload.operators.update import Session, Update
 from pathload.plans import level
 from pathload.plans.blocks import long_state, static_betweenness
-from pathload.sources.tables import GRAPHS, WALKS, graph_of, load, register
+from pathload.sources.tables import GRAPHS, WALKS, WHOLE, graph_of, load, of_all_rows, register
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -49,18 +49,21 @@ _COMP = "reach(id, r) AS (SELECT id, id FROM v UNION SELECT reach.id, a.v FROM r
 _TRI = "tri AS (SELECT x.src AS a, x.dst AS b, y.dst AS c FROM g x JOIN g y ON x.dst = y.src JOIN g z ON z.src = x.src AND z.dst = y.dst)"
 _CC = "corner AS (SELECT id, count(*) AS t FROM (SELECT a AS id FROM tri UNION ALL SELECT b FROM tri UNION ALL SELECT c FROM tri) q GROUP BY id), deg AS (SELECT u AS id, count(*) AS k FROM arcs GROUP BY u), cc AS (SELECT v.id, coalesce(t, 0) AS triangles, CASE WHEN k < 2 THEN 0.0 ELSE 2.0 * coalesce(t, 0) / (k * (k - 1)) END AS clustering FROM v JOIN deg ON deg.id = v.id LEFT JOIN corner ON corner.id = v.id)"
 
-for _n in ("trade_lanes", "user_topic", "user_pairs", "coactive", "supply_sparse", "chat_chains", "hierarchy", "order_part", "part_supp"):
+for _n in ("trade_lanes", "user_topic", "user_pairs", "coactive", "supply_sparse", "chat_chains", "hierarchy", "order_part", "part_supp", *WHOLE):
     add(f"graph_edges_{_n}", lambda s, d, n=_n: graph_of(s, d, n).edges, o.sql(o.graph_ctes(_n), "SELECT src, dst FROM g"))
-for _n in ("user_topic", "coactive"):
+for _n in ("user_topic", "coactive", "whole_coactive"):
     add(f"graph_degree_{_n}", lambda s, d, n=_n: g.degrees(graph_of(s, d, n)), o.sql(o.graph_ctes(_n), "SELECT u AS id, count(*) AS degree FROM arcs GROUP BY u"))
-for _n in ("supply_sparse", "coactive"):
+for _n in ("supply_sparse", "coactive", "whole_coactive"):
     add(f"graph_components_{_n}", lambda s, d, n=_n: g.components(graph_of(s, d, n)), o.sql([*o.graph_ctes(_n), _COMP], "SELECT id, component FROM comp"))
     add(
         f"graph_lcc_{_n}",
         lambda s, d, n=_n: g.largest_component(held(s, d, n)).edges,
         o.sql([*o.graph_ctes(_n), _COMP, "top AS (SELECT component FROM comp GROUP BY 1 ORDER BY count(*) DESC, component LIMIT 1)"], "SELECT src, dst FROM g JOIN comp ON comp.id = g.src JOIN top USING (component)"),
     )
-for _n in ("coactive", "user_pairs"):
+for _n in ("whole_supply", "whole_order_part"):
+    add(f"graph_components_{_n}", lambda s, d, n=_n: g.components(graph_of(s, d, n)))
+    add(f"graph_lcc_{_n}", lambda s, d, n=_n: g.largest_component(held(s, d, n)).edges)
+for _n in ("coactive", "user_pairs", "whole_coactive", "whole_user_pairs"):
     add(f"graph_clustering_{_n}", lambda s, d, n=_n: g.clustering(held(s, d, n)).select("id", "triangles", r6("clustering")), o.sql([*o.graph_ctes(_n), _TRI, _CC], "SELECT id, triangles, round(clustering + 1e-9, 6) AS clustering FROM cc"))
     add(f"graph_triangles_{_n}", lambda s, d, n=_n: g.triangles(held(s, d, n)), o.sql([*o.graph_ctes(_n), _TRI], "SELECT a, b, c FROM tri"))
     add(
@@ -84,7 +87,7 @@ def effective_diameter(state: DataFrame, share: float = 0.9) -> DataFrame:
     return run.where(F.col("share") >= share).agg(F.min("d").alias("effective_diameter"))
 
 
-for _n in ("user_topic", "coactive"):
+for _n in ("user_topic", "coactive", "whole_coactive"):
     add(f"paths_effective_diameter_{_n}", lambda s, d, n=_n: effective_diameter(packed_run(s, d, n)[2]), o.paths(_n, "SELECT min(d) AS effective_diameter FROM (SELECT d, sum(n) OVER (ORDER BY d) / sum(n) OVER () AS share FROM (SELECT d, count(*) AS n FROM p WHERE d > 0 GROUP BY d) x) y WHERE share >= 0.9"))
 
 _DELTA = "dep AS (SELECT c.s, a.t AS v, sum(a.sigma * b.sigma / c.sigma) AS delta FROM p a JOIN p b ON b.s = a.t JOIN p c ON c.s = a.s AND c.t = b.t WHERE a.d + b.d = c.d AND b.s <> b.t GROUP BY c.s, a.t)"
@@ -109,14 +112,19 @@ add("static_vbc_level", static_vbc("user_topic", plan="level"), o.vbc("user_topi
 add("static_vbc_blocks", static_vbc("user_topic", plan="block"), o.vbc("user_topic"))
 add("static_vbc_preds", static_vbc("user_topic", plan="block", predecessors=True), o.vbc("user_topic"))
 add("static_vbc_auto", static_vbc("coactive"), o.vbc("coactive"))
-for _n in ("trade_lanes", "coactive", "user_pairs"):
+for _n in ("trade_lanes", "coactive", "user_pairs", "whole_coactive", "whole_user_pairs"):
     add(f"static_ebc_blocks_{_n}", static_ebc(_n, plan="block"), o.ebc(_n))
 add("static_ebc_level", static_ebc("trade_lanes", plan="level"), o.ebc("trade_lanes"))
 add("static_ebc_preds", static_ebc("trade_lanes", plan="block", predecessors=True), o.ebc("trade_lanes"))
-for _n in ("user_pairs_directed", "coactive_directed"):
+for _n in ("user_pairs_directed", "coactive_directed", "whole_user_pairs_directed", "whole_coactive_directed"):
     add(f"static_vbc_{_n}", static_vbc(_n, plan="block"), o.vbc(_n))
     add(f"static_ebc_{_n}", static_ebc(_n, plan="block"), o.ebc(_n))
 add("static_vbc_directed_level", static_vbc("coactive_directed", plan="level"), o.vbc("coactive_directed"))
+for _n in ("whole_coactive", "whole_user_pairs"):
+    add(f"static_vbc_{_n}", static_vbc(_n), o.vbc(_n))
+for _n in ("whole_supply", "part_supp", "whole_order_part"):
+    add(f"static_vbc_{_n}", static_vbc(_n))
+    add(f"static_ebc_{_n}", static_ebc(_n))
 add("static_vbc_disconnected", static_vbc("supply_sparse"), o.vbc("supply_sparse"))
 add("static_vbc_chains", static_vbc("chat_chains"), o.vbc("chat_chains"))
 add("static_vbc_tree", static_vbc("hierarchy"), o.vbc("hierarchy"))
@@ -249,6 +257,9 @@ for _k in PICKS:
     add(f"inc_{_k}", *updated("coactive", _k, "uniform", "vbc"))
     add(f"inc_{_k}_ebc", *updated("coactive", _k, "uniform", "ebc"))
     add(f"inc_{_k}_cases", *updated("coactive", _k, "cases", "vbc"))
+    add(f"inc_{_k}_whole", *updated("whole_coactive", _k, "uniform", "vbc"))
+    add(f"inc_{_k}_whole_ebc", *updated("whole_coactive", _k, "uniform", "ebc"))
+    add(f"inc_{_k}_whole_cases", *updated("whole_coactive", _k, "cases", "vbc"))
 add("inc_sparse_attach", *updated("supply_sparse", "add_attach", "uniform", "vbc"))
 add("inc_chain_detach", *updated("chat_chains", "remove_detach", "uniform", "vbc"))
 
@@ -265,15 +276,19 @@ def mixed_updates(spark: SparkSession, graph: g.Graph, k: int = 10) -> list[Upda
     return [Update(x.op, x.u, x.v, i + 1) for i, x in enumerate(both)]
 
 
-def mixed(name: str, what: str, strategy: str = "uniform", blocks: int = 4):
+def mixed_run(name: str, what: str, strategy: str = "uniform", blocks: int = 4) -> Query:
     def run(s, d):
         graph = held(s, d, name)
         session = Session.start(graph, blocks, strategy).apply(mixed_updates(s, graph))
         return session.loads.vertex.select("id", r6("vbc")) if what == "vbc" else session.loads.edge.select("src", "dst", r6("ebc"))
 
+    return run
+
+
+def mixed(name: str, what: str, strategy: str = "uniform", blocks: int = 4):
     ctes = [_NON_DIRECTED, *_MIXED[1:]] if GRAPHS[name][1] else _MIXED
     cols = "id, round(vbc + 1e-9, 6) AS vbc FROM vbc2" if what == "vbc" else "src, dst, round(ebc + 1e-9, 6) AS ebc FROM ebc2"
-    return run, o.sql(o.graph_ctes(name) + ctes + final_ctes(name, "less", "more"), f"SELECT {cols}")
+    return mixed_run(name, what, strategy, blocks), o.sql(o.graph_ctes(name) + ctes + final_ctes(name, "less", "more"), f"SELECT {cols}")
 
 
 add("inc_mixed_batch_vbc", *mixed("coactive", "vbc"))
@@ -282,6 +297,14 @@ add("inc_mixed_batch_cases", *mixed("coactive", "vbc", "cases"))
 add("inc_mixed_one_block", *mixed("coactive", "vbc", blocks=1))
 add("inc_directed_batch", *mixed("user_pairs_directed", "vbc"))
 add("inc_directed_batch_ebc", *mixed("coactive_directed", "ebc"))
+add("inc_mixed_whole_vbc", *mixed("whole_coactive", "vbc"))
+add("inc_mixed_whole_ebc", *mixed("whole_coactive", "ebc"))
+add("inc_mixed_whole_cases", *mixed("whole_coactive", "vbc", "cases"))
+add("inc_mixed_whole_one_block", *mixed("whole_coactive", "vbc", blocks=1))
+add("inc_directed_whole", *mixed("whole_user_pairs_directed", "vbc"))
+add("inc_directed_whole_ebc", *mixed("whole_coactive_directed", "ebc"))
+for _n in ("whole_supply", "part_supp"):
+    add(f"inc_mixed_{_n}", mixed_run(_n, "vbc", blocks=8))
 
 
 def state_after(s, d):
@@ -293,21 +316,23 @@ def state_after(s, d):
 add("inc_state_after", state_after, o.sql(o.graph_ctes("trade_lanes") + _MIXED + final_ctes("trade_lanes", "less", "more"), "SELECT s, t, d, sigma FROM p2"))
 
 
-def rebased(s, d):
-    graph = held(s, d, "coactive")
+def rebased(s, d, name="coactive"):
+    graph = held(s, d, name)
     return Session.start(graph, 4).apply(mixed_updates(s, graph)).rebase().loads.vertex.select("id", r6("vbc"))
 
 
 add("inc_rebased", rebased, ORACLES["inc_mixed_batch_vbc"])
+add("inc_rebased_whole", lambda s, d: rebased(s, d, "whole_coactive"), ORACLES["inc_mixed_whole_vbc"])
 
 
-def case_log(s, d):
-    graph = held(s, d, "coactive")
+def case_log(s, d, name="coactive"):
+    graph = held(s, d, name)
     log = Session.start(graph, 4).apply(mixed_updates(s, graph)).log
     return metrics.case_mix(log)
 
 
 add("inc_case_mix", case_log)
+add("inc_case_mix_whole", lambda s, d: case_log(s, d, "whole_coactive"))
 
 # -- triage ---------------------------------------------------------------------------
 
@@ -326,7 +351,7 @@ def triaged(name: str, how):
     return run, o.paths(name, f'SELECT s, {_CASE} AS "case" FROM gaps', [_NON, _ADD1, _GAPS])
 
 
-for _n in ("user_topic", "trade_lanes", "coactive"):
+for _n in ("user_topic", "trade_lanes", "coactive", "whole_coactive"):
     add(f"triage_cases_add_{_n}", *triaged(_n, triage.classify))
     add(f"triage_two_row_{_n}", *triaged(_n, triage.classify_symmetric))
 
@@ -341,13 +366,13 @@ _REMOVAL = (
     "far AS (SELECT s, CASE WHEN du < dv THEN one.u ELSE one.v END AS near, CASE WHEN du < dv THEN one.v ELSE one.u END AS far, greatest(du, dv) AS df FROM gaps, one WHERE du <> dv), "
     "near2 AS (SELECT f.s, max(CASE WHEN x.d = f.df - 1 THEN 1 ELSE 0 END) AS upper, max(CASE WHEN x.d = f.df THEN 1 ELSE 0 END) AS sib FROM far f JOIN arcs a ON a.u = f.far AND a.v <> f.near JOIN p x ON x.s = f.s AND x.t = a.v GROUP BY f.s)"
 )
-for _n in ("trade_lanes", "coactive"):
+for _n in ("trade_lanes", "coactive", "whole_coactive"):
     add(
         f"triage_cases_remove_{_n}",
         lambda s, d, n=_n: removal(s, d, n),
         o.paths(_n, "SELECT v.id AS s, CASE WHEN f.s IS NULL THEN 'skip' WHEN upper = 1 THEN 'flat_remove' WHEN sib = 1 THEN 'drop_one' ELSE 'drop_more' END AS \"case\" FROM v LEFT JOIN far f ON f.s = v.id LEFT JOIN near2 n ON n.s = v.id", [_OWN, _DEL1, _GAPS, _REMOVAL]),
     )
-for _n in ("user_topic", "coactive", "user_pairs"):
+for _n in ("user_topic", "coactive", "user_pairs", "whole_coactive", "whole_user_pairs"):
     add(
         f"triage_skip_fraction_{_n}",
         lambda s, d, n=_n: triaged(n, triage.classify)[0](s, d).agg(F.round(F.avg((F.col("case") == "skip").cast("double")) + 1e-9, 6).alias("skipped")),
@@ -442,24 +467,26 @@ add(
 _SIZES = ("trade_lanes", "user_topic", "user_pairs", "coactive", "supply_sparse")
 
 
-def state_sizes(s, d):
+def state_sizes(s, d, names=_SIZES):
     rows = []
-    for name in _SIZES:
+    for name in names:
         graph = graph_of(s, d, name)
         n, m = graph.vertices.count(), graph.edges.count()
         rows.append((name, n, m, metrics.state_bytes(n, m), metrics.state_bytes(n, m, True), metrics.state_bytes(n, m, p=4)))
     return s.createDataFrame(rows, "graph string, n bigint, m bigint, compact double, with_lists double, per_machine double")
 
 
-add(
-    "state_sizes",
-    state_sizes,
-    " UNION ALL ".join(f"SELECT '{n}' AS graph, n, m, (11.0 * n * n)::DOUBLE AS compact, (11.0 * n * n + 16.0 * n * m)::DOUBLE AS with_lists, (11.0 * n * n / 4)::DOUBLE AS per_machine FROM (WITH {', '.join(o.graph_ctes(n))} SELECT (SELECT count(*) FROM v) AS n, (SELECT count(*) FROM g) AS m) x" for n in _SIZES),
-)
+def _sizes_sql(names) -> str:
+    return " UNION ALL ".join(f"SELECT '{n}' AS graph, n, m, (11.0 * n * n)::DOUBLE AS compact, (11.0 * n * n + 16.0 * n * m)::DOUBLE AS with_lists, (11.0 * n * n / 4)::DOUBLE AS per_machine FROM (WITH {', '.join(o.graph_ctes(n))} SELECT (SELECT count(*) FROM v) AS n, (SELECT count(*) FROM g) AS m) x" for n in names)
+
 
+_WHOLE_SIZES = ("user_topic", "part_supp", *WHOLE)
+add("state_sizes", state_sizes, _sizes_sql(_SIZES))
+add("state_sizes_whole", lambda s, d: state_sizes(s, d, _WHOLE_SIZES), _sizes_sql(_WHOLE_SIZES))
 
-def accuracy(s, d):
-    graph = held(s, d, "coactive")
+
+def accuracy(s, d, name="coactive"):
+    graph = held(s, d, name)
     session = Session.start(graph, 4).apply(mixed_updates(s, graph))
     again = static_betweenness(session.graph)
     err = metrics.max_error(session.loads.edge, again.edge, ["src", "dst"], "ebc")
@@ -467,29 +494,32 @@ def accuracy(s, d):
 
 
 add("accuracy_exact", accuracy, "SELECT true AS exact")
+for _n in ("whole_coactive", "whole_supply"):
+    add(f"accuracy_exact_{_n}", lambda s, d, n=_n: accuracy(s, d, n), "SELECT true AS exact")
 
 
-def purchase_log(s, d):
-    """(seq, t_i, t_u): gaps between purchases over 60, and a stand-in time of each from its value."""
-    e = load(s, d, "events").where("event_type = 'purchase' AND value > 60")
+def purchase_log(s, d, whole=False):
+    """(seq, t_i, t_u): gaps between purchases (over 60, or all), and a stand-in time of each from its value."""
+    e = load(s, d, "events").where("event_type = 'purchase'" + ("" if whole else " AND value > 60"))
     w = Window.orderBy("ts", "event_id")
     gap = F.timestamp_diff("MICROSECOND", F.col("ts"), F.lead("ts").over(w)) / 1e6
     return e.select(F.row_number().over(w).cast("bigint").alias("seq"), gap.alias("t_i"), (F.col("value") * 40).alias("t_u"), "value").where("t_i IS NOT NULL")
 
 
 _LOG = "log AS (SELECT * FROM (SELECT row_number() OVER (ORDER BY ts, event_id) AS seq, (epoch_us(lead(ts) OVER (ORDER BY ts, event_id)) - epoch_us(ts)) / 1e6 AS t_i, value * 40 AS t_u, value FROM events WHERE event_type = 'purchase' AND value > 60) q WHERE t_i IS NOT NULL)"
-add("online_update_time", lambda s, d: purchase_log(s, d).select("seq", F.round(online.update_time(F.col("value") / 1000, F.lit(250), F.lit(8), F.lit(2.0)) + 1e-9, 6).alias("t_u"), online.is_online(online.update_time(F.col("value") / 1000, F.lit(250), F.lit(8), F.lit(2.0)), F.col("t_i")).alias("online")), f"WITH {_LOG} SELECT seq, round(value / 1000 * 250 / 8 + 2.0 + 1e-9, 6) AS t_u, value / 1000 * 250 / 8 + 2.0 < t_i AS online FROM log")
-add("online_required_parallelism", lambda s, d: purchase_log(s, d).select("seq", online.required_parallelism(F.col("value"), F.lit(250), F.col("t_i"), F.lit(2.0)).alias("p")), f"WITH {_LOG} SELECT seq, CASE WHEN t_i > 2.0 THEN (floor(value * 250 / (t_i - 2.0)) + 1)::BIGINT END AS p FROM log")
-add("online_lateness", lambda s, d: online.lateness(purchase_log(s, d)).select("seq", r6("delay")), f"WITH {_LOG} SELECT seq, round(greatest(t_u - t_i, 0.0) + 1e-9, 6) AS delay FROM log")
-add("online_missed", lambda s, d: online.missed(online.lateness(purchase_log(s, d))).select(r6("missed"), F.round("delay", 4).alias("delay")), f"WITH {_LOG} SELECT round(avg(CASE WHEN t_u > t_i THEN 1.0 ELSE 0.0 END) + 1e-9, 6) AS missed, round(avg(CASE WHEN t_u > t_i THEN t_u - t_i END), 4) AS delay FROM log")
-add(
-    "online_queue",
-    lambda s, d: online.lateness(purchase_log(s, d), "queued").select("seq", F.round("delay", 3).alias("delay")),
-    f"WITH {_LOG}, w AS (SELECT seq, sum(t_u - t_i) OVER (ORDER BY seq) AS x FROM log) SELECT seq, round(x - least(0.0, min(x) OVER (ORDER BY seq)), 3) AS delay FROM w",
-)
-add("online_monitor", lambda s, d: online.monitor(purchase_log(s, d), 5, "t_i", "t_u").select("seq", F.round("mean_t_i", 4).alias("mean_t_i"), F.round("mean_t_u", 4).alias("mean_t_u")), f"WITH {_LOG} SELECT seq, round(avg(t_i) OVER (ORDER BY seq ROWS BETWEEN 4 PRECEDING AND CURRENT ROW), 4) AS mean_t_i, round(avg(t_u) OVER (ORDER BY seq ROWS BETWEEN 4 PRECEDING AND CURRENT ROW), 4) AS mean_t_u FROM log")
-add("speedup_summary", lambda s, d: metrics.summary(metrics.speedup(purchase_log(s, d), "t_i", "t_u"), "speedup").select(*(F.round(c, 5).alias(c) for c in ("least", "median", "most", "mean"))), f"WITH {_LOG}, s AS (SELECT t_i / t_u AS x FROM log) SELECT round(min(x), 5) AS least, round(quantile_cont(x, 0.5), 5) AS median, round(max(x), 5) AS most, round(avg(x), 5) AS mean FROM s")
-add("speedup_cdf", lambda s, d: metrics.cdf(metrics.speedup(purchase_log(s, d), "t_i", "t_u").select(F.floor("speedup").alias("speedup")), "speedup").select("speedup", r6("share")), f"WITH {_LOG}, s AS (SELECT floor(t_i / t_u)::BIGINT AS x FROM log) SELECT DISTINCT x AS speedup, round(cume_dist() OVER (ORDER BY x) + 1e-9, 6) AS share FROM s")
+for _whole, _tag, _log in ((False, "", _LOG), (True, "_whole", of_all_rows(_LOG))):
+    add(f"online_update_time{_tag}", lambda s, d, w=_whole: purchase_log(s, d, w).select("seq", F.round(online.update_time(F.col("value") / 1000, F.lit(250), F.lit(8), F.lit(2.0)) + 1e-9, 6).alias("t_u"), online.is_online(online.update_time(F.col("value") / 1000, F.lit(250), F.lit(8), F.lit(2.0)), F.col("t_i")).alias("online")), f"WITH {_log} SELECT seq, round(value / 1000 * 250 / 8 + 2.0 + 1e-9, 6) AS t_u, value / 1000 * 250 / 8 + 2.0 < t_i AS online FROM log")
+    add(f"online_required_parallelism{_tag}", lambda s, d, w=_whole: purchase_log(s, d, w).select("seq", online.required_parallelism(F.col("value"), F.lit(250), F.col("t_i"), F.lit(2.0)).alias("p")), f"WITH {_log} SELECT seq, CASE WHEN t_i > 2.0 THEN (floor(value * 250 / (t_i - 2.0)) + 1)::BIGINT END AS p FROM log")
+    add(f"online_lateness{_tag}", lambda s, d, w=_whole: online.lateness(purchase_log(s, d, w)).select("seq", r6("delay")), f"WITH {_log} SELECT seq, round(greatest(t_u - t_i, 0.0) + 1e-9, 6) AS delay FROM log")
+    add(f"online_missed{_tag}", lambda s, d, w=_whole: online.missed(online.lateness(purchase_log(s, d, w))).select(r6("missed"), F.round("delay", 4).alias("delay")), f"WITH {_log} SELECT round(avg(CASE WHEN t_u > t_i THEN 1.0 ELSE 0.0 END) + 1e-9, 6) AS missed, round(avg(CASE WHEN t_u > t_i THEN t_u - t_i END), 4) AS delay FROM log")
+    add(
+        f"online_queue{_tag}",
+        lambda s, d, w=_whole: online.lateness(purchase_log(s, d, w), "queued").select("seq", F.round("delay", 3).alias("delay")),
+        f"WITH {_log}, w AS (SELECT seq, sum(t_u - t_i) OVER (ORDER BY seq) AS x FROM log) SELECT seq, round(x - least(0.0, min(x) OVER (ORDER BY seq)), 3) AS delay FROM w",
+    )
+    add(f"online_monitor{_tag}", lambda s, d, w=_whole: online.monitor(purchase_log(s, d, w), 5, "t_i", "t_u").select("seq", F.round("mean_t_i", 4).alias("mean_t_i"), F.round("mean_t_u", 4).alias("mean_t_u")), f"WITH {_log} SELECT seq, round(avg(t_i) OVER (ORDER BY seq ROWS BETWEEN 4 PRECEDING AND CURRENT ROW), 4) AS mean_t_i, round(avg(t_u) OVER (ORDER BY seq ROWS BETWEEN 4 PRECEDING AND CURRENT ROW), 4) AS mean_t_u FROM log")
+    add(f"speedup_summary{_tag}", lambda s, d, w=_whole: metrics.summary(metrics.speedup(purchase_log(s, d, w), "t_i", "t_u"), "speedup").select(*(F.round(c, 5).alias(c) for c in ("least", "median", "most", "mean"))), f"WITH {_log}, s AS (SELECT t_i / t_u AS x FROM log) SELECT round(min(x), 5) AS least, round(quantile_cont(x, 0.5), 5) AS median, round(max(x), 5) AS most, round(avg(x), 5) AS mean FROM s")
+    add(f"speedup_cdf{_tag}", lambda s, d, w=_whole: metrics.cdf(metrics.speedup(purchase_log(s, d, w), "t_i", "t_u").select(F.floor("speedup").alias("speedup")), "speedup").select("speedup", r6("share")), f"WITH {_log}, s AS (SELECT floor(t_i / t_u)::BIGINT AS x FROM log) SELECT DISTINCT x AS speedup, round(cume_dist() OVER (ORDER BY x) + 1e-9, 6) AS share FROM s")
 
 # -- workloads -----------------------------------------------------------------------------
 
@@ -536,7 +566,8 @@ def bridges(s, d, name="coactive"):
 
 
 _BRIDGE = "cut(src, dst, r) AS (SELECT src, dst, src FROM g UNION SELECT c.src, c.dst, a.v FROM cut c JOIN arcs a ON a.u = c.r WHERE NOT (a.u = c.src AND a.v = c.dst) AND NOT (a.u = c.dst AND a.v = c.src))"
-add("graph_bridges", bridges, o.sql([*o.graph_ctes("coactive"), _BRIDGE], "SELECT src, dst FROM g WHERE NOT EXISTS (SELECT 1 FROM cut WHERE cut.src = g.src AND cut.dst = g.dst AND cut.r = g.dst)"))
+for _n, _tag in (("coactive", ""), ("whole_coactive", "_whole")):
+    add(f"graph_bridges{_tag}", lambda s, d, n=_n: bridges(s, d, n), o.sql([*o.graph_ctes(_n), _BRIDGE], "SELECT src, dst FROM g WHERE NOT EXISTS (SELECT 1 FROM cut WHERE cut.src = g.src AND cut.dst = g.dst AND cut.r = g.dst)"))
 
 # -- communities ----------------------------------------------------------------------------
 

@@ -77,11 +77,11 @@ def sessions(s: SparkSession, d: str) -> DataFrame:
     return drained(counts).select("user_id", "w.start", "n")
 
 
-def incremental_query(s: SparkSession, d: str) -> DataFrame:
+def incremental_query(s: SparkSession, d: str, name: str = "coactive") -> DataFrame:
     """Mixed updates through a stream of files give the loads of one batch."""
     from pathload.queries import held, mixed_updates
 
-    graph = held(s, d, "coactive")
+    graph = held(s, d, name)
     rows = [(u.seq, u.op, u.u, u.v) for u in mixed_updates(s, graph)]
     path = shared_folder(s)
     s.createDataFrame(rows, "seq bigint, op string, u string, v string").withColumn("ts", F.timestamp_seconds(F.col("seq"))).select("seq", "ts", "op", "u", "v").write.parquet(path)
