@@ -183,4 +183,10 @@ def install(add) -> None:
 
     add("stream_incremental_vbc", st.incremental_query, ORACLES["inc_mixed_batch_vbc"])
     add("stream_incremental_whole", lambda s, d: st.incremental_query(s, d, "whole_coactive"), ORACLES["inc_mixed_whole_vbc"])
-    add("stream_session_users", st.sessions)
+    add(
+        "stream_session_users",
+        st.sessions,
+        "WITH p AS (SELECT user_id, event_id, ts, ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS gap FROM events WHERE event_type = 'purchase'), "
+        "s AS (SELECT user_id, ts, sum(CASE WHEN gap <= INTERVAL 2 HOUR THEN 0 ELSE 1 END) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS k FROM p) "
+        "SELECT user_id, min(ts) AS start, count(*) AS n FROM s GROUP BY user_id, k",
+    )
