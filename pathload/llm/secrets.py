@@ -17,8 +17,11 @@ from __future__ import annotations
 import hashlib
 import math
 import re
+from bisect import bisect_right
 from collections import Counter
 from collections.abc import Iterator
+from functools import lru_cache
+from itertools import accumulate
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F
@@ -37,84 +40,209 @@ NAME_WEIGHT = {
     "privatekey": 1.0, "secretkey": 1.0, "clientsecret": 1.0, "authkey": 0.9, "authtoken": 1.0, "bearer": 0.9, "credential": 0.9,
     "signingkey": 1.0, "encryptionkey": 1.0, "connectionstring": 0.7, "authorization": 0.8, "salt": 0.5, "auth": 0.5, "key": 0.4,
 }
-_STEMS = re.compile("pass|secret|token|key|pwd|bearer|credential|auth|salt|connectionstring", re.I | re.A)
-_DULL = re.compile(r"(?i)^(?:x{3,}|\*{3,}|\.{3,}|<.*>|\$\{.*\}|\{\{.*\}\}|%\(.*\)s|changeme|change_me|example|placeholder|dummy|test|todo|none|null|true|false|undefined|your[_-].*|redacted.*)$")
+#: Names that hold a sensitive part by chance.
+_CHANCE = re.compile(r"authors?(?!i[sz])|authentic(?!at)|key(?:word|board)s?|(?:mon|tur|don|hot|hoc|joc)key")
+#: What every name of a base assignment holds.
+_BASE_STEMS = re.compile("pass|secret|token|key", re.I | re.A)
+#: Least scores under names of small weight, with a digit and without.
+WEAK, WEAK_LETTERS = 0.75, 0.85
+_DULL = re.compile(r"(?i)(?:x{3,}|\*{3,}|\.{3,}|<.*>|\$\{.*\}|\{\{.*\}\}|%\(.*\)s|changeme|change_me|example|placeholder|dummy|test|todo|none|null|true|false|undefined|your[_-].*|redacted.*)$", re.S)
+_DULL_ENDS = re.compile(r"(?i)(?:<.*>|\$\{.*\}|\{\{.*\}\}|%\(.*\)s|your[_-].*|redacted.*)$", re.S)
+_PEM = re.compile(r"-----BEGIN [A-Z0-9 ]*PRIVATE KEY")
+_SENTENCE = re.compile(r"(?i)\b(?:pass(?:word|phrase|wd|code)?s?|enter|your|please|must|required|invalid|incorrect|forgot|reset)\b")
 _PAIR = re.compile(
-    r"""(?:(?P<q>["'`])(?P<quoted>[A-Za-z_$][\w.$ -]{0,100})(?P=q)|(?<![\w.$-])(?P<bare>[A-Za-z_$][\w.$-]{0,100}))
-        (?:\s{0,4}:\s{0,4}[A-Za-z_][\w.\[\]]{0,40}(?=\s{0,4}=[^=]))?
-        [ \t]{0,8}(?:=>|:=|:|=(?!=))[ \t]{0,8}""",
+    r"""(?:(?P<q>["'`])(?P<quoted>[A-Za-z_$][\w.$ -]*+)(?P=q)|(?<![\w.$-])(?P<bare>[A-Za-z_$][\w.$-]*+))
+        (?:\s*+:\s*+[A-Za-z_][\w.\[\]]*+(?=\s*+=[^=]))?
+        [ \t]*+(?:=>|:=|:|=(?!=))[ \t]*+""",
     re.X | re.A,
 )
-_MARKUP = re.compile(r"<([A-Za-z_][\w.-]{0,100})>([^<>\s]{1,4096})</\1>", re.A)
-_LITERAL = re.compile(r"""[rbuf]{0,2}(?:"((?:[^"\\\n]|\\.){0,4096})"|'((?:[^'\\\n]|\\.){0,4096})'|`([^`\n]{0,4096})`)""", re.A)
-_NAME = re.compile(r"[A-Za-z_$][\w.$]{0,100}(?![\w(\[])", re.A)
-_PLAIN = re.compile(r"[^\s,;\"'`<>(){}\[\]#]{6,4096}")
-_JOIN = re.compile(r"[ \t]{0,8}(?:\+|\.\.|\.|&)[ \t]{0,8}")
+_MARKUP = re.compile(r"<([A-Za-z_][\w.-]*+)>([^<>]++)</\1>", re.A)
+_LITERAL = re.compile(r"""[rbuf]{0,2}(?:"((?:[^"\\\n]|\\.)*+)"|'((?:[^'\\\n]|\\.)*+)'|`([^`\n]*+)`)""", re.A)
+_NAME = re.compile(r"[A-Za-z_$][\w.$]*(?![\w(\[])", re.A)
+_PLAIN = re.compile(r"[^\s,;\"'`<>(){}\[\]#]{6,}+")
+_JOIN = re.compile(r"[ \t]*+(?:\+|\.\.|\.|&)[ \t]*+")
+#: Characters that a value keeps of its start and of its end.
+EDGE = 64
 
 
+@lru_cache(4096)
 def name_score(name: str) -> float:
     flat = re.sub(r"[^a-z0-9]", "", name.lower())
     if re.search(r"(public|primary|foreign|sort|cache|partition)key", flat):
         return 0.0
+    flat = _CHANCE.sub(" ", flat)
     return max((w for part, w in NAME_WEIGHT.items() if part in flat), default=0.0)
 
 
-def literal_score(value: str) -> float:
-    """0 to 1 by length, mix of character classes and entropy; placeholders have 0."""
-    if len(value) < 6 or _DULL.match(value) or " " in value.strip():
-        return 0.0
-    counts = Counter(value[:512])
-    n = min(len(value), 512)
-    entropy = -sum(c / n * math.log2(c / n) for c in counts.values())
-    classes = sum(bool(re.search(p, value)) for p in ("[a-z]", "[A-Z]", "[0-9]", "[^A-Za-z0-9]"))
-    return min(1.0, entropy / 4) * 0.5 + min(1.0, len(value) / 16) * 0.25 + min(1.0, (classes - 1) / 2) * 0.25
+@lru_cache(4096)
+def holds_phrase(name: str) -> bool:
+    """Whether a value under the name may be words with spaces."""
+    return bool(re.search("passphrase|password|passwd|pwd", re.sub(r"[^a-z0-9]", "", name.lower())))
+
+
+class Value:
+    """A literal, or literals joined: its characters' counts, its edges and its parts; joined text is never built.
+
+    A leaf counts its characters when they are asked for; a joined value adds up its parts' counts.
+    """
 
+    __slots__ = ("text", "a", "b", "parts", "told", "size", "_counts", "head", "tail")
 
-def assignments(text: str) -> Iterator[tuple[str, str, list[tuple[int, int]]]]:
-    """(name, value, spans of the literals that make the value), constants carried forward."""
-    known: dict[str, tuple[str, list[tuple[int, int]]]] = {}
+    def __init__(self, text: str, a: int, b: int, counts: dict[str, int] | None = None, parts: tuple[Value, Value] | None = None):
+        self.text, self.a, self.b, self._counts, self.parts, self.told = text, a, b, counts, parts, False
+        if parts is None:
+            self.size, self.head, self.tail = b - a, text[a : min(b, a + EDGE)], text[max(a, b - EDGE) : b]
+        else:
+            x, y = parts
+            self.size, self.head, self.tail = x.size + y.size, (x.head + y.head)[:EDGE] if x.size < EDGE else x.head, (x.tail + y.tail)[-EDGE:] if y.size < EDGE else y.tail
+
+    @property
+    def counts(self) -> dict[str, int]:
+        todo = [self]
+        while todo:
+            v = todo[-1]
+            if v._counts is not None:
+                todo.pop()
+            elif v.parts is None:
+                v._counts = Counter(v.text[v.a : v.b])
+            elif left := [p for p in v.parts if p._counts is None]:
+                todo += left
+            else:
+                v._counts = dict(v.parts[0]._counts)
+                for c, n in v.parts[1]._counts.items():
+                    v._counts[c] = v._counts.get(c, 0) + n
+        return self._counts
+
+    def spans(self) -> Iterator[tuple[int, int]]:
+        """Spans of the literals that were not told of before."""
+        todo = [self]
+        while todo:
+            v = todo.pop()
+            if v.told:
+                continue
+            v.told = True
+            if v.parts is None:
+                yield v.a, v.b
+            else:
+                todo += v.parts
+
+    def edges(self) -> str:
+        """The whole text up to twice EDGE; of a longer one its start and end."""
+        return self.head if self.size <= EDGE else self.head + self.tail[-min(EDGE, self.size - EDGE) :]
+
+    def score(self, phrase: bool = False) -> float:
+        """0 to 1 by length, mix of character classes and entropy; placeholders have 0; text with spaces too, but for private keys and, if asked for, phrases."""
+        edges, whole = self.edges(), self.size <= 2 * EDGE
+        if self.size < 6 or (_DULL if whole else _DULL_ENDS).match(edges):
+            return 0.0
+        if _PEM.match(self.head.lstrip()):
+            return 1.0
+        counts = self.counts
+        if not whole and len(counts) <= 2 and {c.lower() for c in counts} in ({"x"}, {"*"}, {"."}):
+            return 0.0
+        if " " in counts or "\n" in counts:
+            inner = edges.strip()
+            spaced = any(c in inner or (not whole and counts.get(c, 0) > edges.count(c)) for c in " \n")
+            if spaced and (not phrase or _SENTENCE.search(edges)):
+                return 0.0
+        shares = [n / self.size for n in counts.values()]
+        entropy = -sum(x * math.log2(x) for x in shares if x > 0)
+        classes = sum((any("a" <= c <= "z" for c in counts), any("A" <= c <= "Z" for c in counts), any("0" <= c <= "9" for c in counts), any(not (c.isascii() and c.isalnum()) for c in counts)))
+        return min(1.0, entropy / 4) * 0.5 + min(16, self.size) / 16 * 0.25 + min(1.0, (classes - 1) / 2) * 0.25
+
+
+def literal_score(value: str, phrase: bool = False) -> float:
+    return Value(value, 0, len(value)).score(phrase)
+
+
+def sensitive(name: str, value: Value, threshold: float) -> bool:
+    """Whether the value is a secret under the name; every weight can pass."""
+    weight = name_score(name)
+    if not weight:
+        return False
+    score = value.score(holds_phrase(name))
+    if weight >= 0.9:
+        return weight * score >= threshold
+    weak = WEAK if weight >= threshold * 1.2 or any("0" <= c <= "9" for c in value.counts) or _PEM.match(value.head.lstrip()) else WEAK_LETTERS
+    return score >= min(threshold * 1.2 / weight, max(weak, threshold))
+
+
+class Runs:
+    """Plain values: suffixes of runs of plain characters, each run scanned once."""
+
+    def __init__(self, text: str):
+        self.text, self.start, self.end, self.at, self.left = text, 0, 0, 0, None
+
+    def value(self, pos: int) -> Value | None:
+        if not self.start <= pos < self.end:
+            m = _PLAIN.match(self.text, pos)
+            if not m:
+                return None
+            self.start, self.end, self.at, self.left = pos, m.end(), pos, None
+        if self.end - pos < 6:
+            return None
+        if self.end - pos <= 4096:
+            return Value(self.text, pos, self.end)
+        # A long run may have many values: counts go down from one to the next.
+        if self.left is None:
+            self.at, self.left = pos, Counter(self.text[pos : self.end])
+        for c in self.text[self.at : pos]:
+            self.left[c] -= 1
+            if not self.left[c]:
+                del self.left[c]
+        self.at = pos
+        return Value(self.text, pos, self.end, dict(self.left))
+
+
+def assignments(text: str) -> Iterator[tuple[str, Value]]:
+    """(name, value of the literals it gets), constants carried forward."""
+    known: dict[str, Value] = {}
+    plain = Runs(text)
     at = 0
     while pair := _PAIR.search(text, at):
         name = pair["quoted"] or pair["bare"]
-        value, spans, pos = "", [], pair.end()
+        value, pos = None, pair.end()
         while True:
             if m := _LITERAL.match(text, pos):
                 k = next(i for i in (1, 2, 3) if m[i] is not None)
-                value, spans, pos = value + m[k], [*spans, m.span(k)], m.end()
+                one, pos = Value(text, *m.span(k)), m.end()
             elif (m := _NAME.match(text, pos)) and m[0] in known:
-                value, spans, pos = value + known[m[0]][0], spans + known[m[0]][1], m.end()
-            elif not spans and (m := _PLAIN.match(text, pos)):
-                value, spans, pos = m[0], [m.span()], m.end()
+                one, pos = known[m[0]], m.end()
+            elif value is None and (one := plain.value(pos)):
+                pos = one.b
             else:
                 break
+            value = one if value is None else Value(text, 0, 0, parts=(value, one))
             step = _JOIN.match(text, pos)
             if not step or not (_LITERAL.match(text, step.end()) or (m := _NAME.match(text, step.end())) and m[0] in known):
                 break
             pos = step.end()
-        if spans:
-            known[name] = (value, spans[:16])
-            yield name, value, spans
-        at = max(pair.end(), pos if len(spans) and pos > pair.end() and text[pos - 1] in "\"'`" else pair.end())
-    for m in _MARKUP.finditer(text):
-        yield m[1], m[2], [m.span(2)]
+        if value is not None:
+            known[name] = value
+            yield name, value
+        at = max(pair.end(), pos if value is not None and pos > pair.end() and text[pos - 1] in "\"'`" else pair.end())
+    if "</" in text:
+        for m in _MARKUP.finditer(text):
+            yield m[1], Value(text, *m.span(2))
 
 
 def find_spans(text: str, threshold: float = 0.55) -> list[tuple[int, int, int]]:
     """(start, end, index of kind) of all spans of a text, sorted."""
     out = []
     if "=" in text or ":" in text:
-        out += [(*m.span(), 0) for m in _ASSIGN.finditer(text) if len(m[2]) >= 6] if _STEMS.search(text) else []
+        out += [(*m.span(), 0) for m in _ASSIGN.finditer(text) if len(m[2]) >= 6] if _BASE_STEMS.search(text) else []
     if "AKIA" in text:
         out += [(*m.span(), 1) for m in _ACCESS.finditer(text) if len(m[0]) >= 20]
     out += [(*m.span(), 2) for m in _HEX.finditer(text)]
-    if ("=" in text or ":" in text or "</" in text) and _STEMS.search(text):
+    if "=" in text or ":" in text or "</" in text:
         base = sorted(out)
+        starts, ends = [x for x, _, _ in base], list(accumulate((y for _, y, _ in base), max))
         seen = set()
-        for name, value, spans in assignments(text):
-            weight = name_score(name)
-            if weight and weight * literal_score(value) >= threshold * (1 if weight >= 0.9 else 1.2):
-                for a, b in spans:
-                    if a < b and (a, b) not in seen and not any(x <= a and b <= y for x, y, _ in base):
+        for name, value in assignments(text):
+            if not value.told and sensitive(name, value, threshold):
+                for a, b in value.spans():
+                    i = bisect_right(starts, a)
+                    if a < b and (a, b) not in seen and not (i and ends[i - 1] >= b):
                         seen.add((a, b))
                         out.append((a, b, 3))
     return sorted(out, key=lambda s: (s[0], s[2], s[1]))
