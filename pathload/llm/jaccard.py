@@ -303,19 +303,16 @@ def jaccard_components(docs: DataFrame, k: int = 5, t: int = 80, key: str = "doc
             found = found.join(tried, ["p", "q"], "left_anti")
         found = staged(found)
         if found.isEmpty():
-            if step == "first":
-                break
+            if roots is None:  # every set is its own root
+                roots = docs.sparkSession.createDataFrame([], "id bigint, root bigint")
             continue
         good = verified(found, texts, k, t)
         links = staged(good if links is None else links.unionByName(good))
         tried = found if tried is None else tried.unionByName(found)
         roots = staged(component_roots(links, "p", "q"))
-    if roots is None:
-        member = classes.withColumn("component_id", F.col("first"))
-    else:
-        placed = classes.join(roots.select(F.col("id").alias("set"), "root"), "set", "left").withColumn("root", F.coalesce("root", "set"))
-        least = placed.groupBy("root").agg(F.min("first").alias("component_id"))
-        member = placed.join(least, "root")
+    placed = classes.join(roots.select(F.col("id").alias("set"), "root"), "set", "left").withColumn("root", F.coalesce("root", "set"))
+    least = placed.groupBy("root").agg(F.min("first").alias("component_id"))
+    member = placed.join(least, "root")
     member = member.select("set", "set2", "n_shingles", "component_id")
     return sets.drop(*BITS).join(member, ["set", "set2", "n_shingles"], "left").select(key, F.col("n_shingles").cast("long").alias("n_shingles"), F.when(F.col(key).isNotNull(), F.coalesce("component_id", key)).alias("component_id"))
 
