@@ -61,7 +61,7 @@ STAGES = [
     ("packing", pack_sequences),
 ]
 
-#: SQL can't express the learned lexicon and the packing; tests compare the stages with plain versions.
+#: SQL can't express the learned lexicon and the packing; no test runs the stages together yet.
 ORACLE_SQL = None
 
 
