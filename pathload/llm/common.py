@@ -24,6 +24,14 @@ SLICE_BYTES = 2 << 20
 U64 = np.uint64
 
 
+def free_name(name: str, taken) -> str:
+    """The name, with underscores until no column has it, whatever its case."""
+    low = {t.lower() for t in taken}
+    while name.lower() in low:
+        name += "_"
+    return name
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -172,39 +180,13 @@ def bucket_of(key: np.ndarray, n: int) -> np.ndarray:
     return ((key >> U64(33)) * U64(n) >> U64(31)).astype(np.int64)
 
 
-_WEIGHTS: dict[str, np.ndarray] = {}
-
-
-def byte_weights(seed: str) -> np.ndarray:
-    """256 random odd 64-bit weights from a seed."""
-    if seed in _WEIGHTS:
-        return _WEIGHTS[seed]
-    raw = b"".join(hashlib.sha256(f"{seed}:{i}".encode()).digest()[:8] for i in range(256))
-    _WEIGHTS[seed] = np.frombuffer(raw, U64) | U64(1)
-    return _WEIGHTS[seed]
-
-
-_POWERS: dict[int, tuple[np.ndarray, np.ndarray]] = {}
-
-
-def powers(base: int, n: int) -> tuple[np.ndarray, np.ndarray]:
-    """base**i and its inverse modulo 2**64 for i < n (base is odd); kept between calls."""
-    have = _POWERS.get(base)
-    if have is None or len(have[0]) < n:
-        size = max(n, 1 << 16)
-        inverse = pow(base, -1, 1 << 64)
-        out = []
-        for b in (base, inverse):
-            p = np.full(size, U64(b))
-            p[0] = 1
-            out.append(np.multiply.accumulate(p))
-        _POWERS[base] = have = (out[0], out[1])
-    return have[0][:n], have[1][:n]
+#: Words of more bytes go through BLAKE2b, so that no loop is as long as a word.
+LONG_WORD = 256
+#: Fixed odd factors of the fingerprints' two functions.
+FACTORS = (U64(0x9D39247E33776D41), U64(0xA4093822299F31D1))
+_LOW_BYTES = np.array([(1 << 8 * i) - 1 for i in range(9)], U64)
 
 
-#: Fixed odd bases of the polynomial fingerprints.
-BASES = (0x9D39247E33776D41, 0xA4093822299F31D1, 0xB7E151628AED2A6B)
-
 _SPACE = np.zeros(256, bool)
 _SPACE[[0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D]] = True
 
@@ -227,25 +209,94 @@ def word_spans(data: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarra
     return start, end, np.searchsorted(start, off, "left")
 
 
+def _eights(data: np.ndarray) -> np.ndarray:
+    """The eight bytes from each place on as a number; zeros follow the end."""
+    return np.ndarray(len(data) + 1, "<u8", np.append(data, np.zeros(8, np.uint8)), strides=(1,))
+
+
 def word_hashes(data: np.ndarray, start: np.ndarray, end: np.ndarray, which: int = 0) -> np.ndarray:
-    """A 64-bit fingerprint of each word's bytes: a polynomial over random byte weights, mixed with the length."""
+    """A 64-bit fingerprint of each word's bytes: a chain of mixed eight-byte pieces that starts from the length."""
     if len(start) == 0:
         return np.zeros(0, U64)
-    power, inverse = powers(BASES[which], len(data) + 1)
-    total = np.zeros(len(data) + 1, U64)
-    np.cumsum(byte_weights(f"word{which}")[data] * power[:-1], out=total[1:])
-    h = (total[end] - total[start]) * inverse[start]
-    return mix64(h + (end - start).astype(U64) * U64(0xD6E8FEB86659FD93))
+    eight, size = _eights(data), end - start
+    h = mix64(size.astype(U64) * FACTORS[which] + FACTORS[1 - which])
+    for i in np.flatnonzero(size > LONG_WORD).tolist():
+        h[i] = int.from_bytes(hashlib.blake2b(data[start[i] : end[i]].tobytes(), digest_size=8, person=b"word%d" % which).digest(), "little")
+    todo = np.flatnonzero(size <= LONG_WORD)
+    at, left = start[todo], size[todo]
+    while len(todo):
+        h[todo] = mix64((h[todo] * FACTORS[which]) ^ (eight[at] & _LOW_BYTES[np.minimum(left, 8)]))
+        go = left > 8
+        todo, at, left = todo[go], at[go] + 8, left[go] - 8
+    return h
+
+
+def equal_words(data: np.ndarray, start: np.ndarray, end: np.ndarray, other: np.ndarray) -> np.ndarray:
+    """Whether each word has the bytes of the word whose place `other` gives."""
+    eight, size = _eights(data), end - start
+    good = size == size[other]
+    todo = np.flatnonzero(good & (other != np.arange(len(start))))
+    long = size[todo] > LONG_WORD
+    for i in todo[long].tolist():
+        j = int(other[i])
+        good[i] = np.array_equal(data[start[i] : end[i]], data[start[j] : end[j]])
+    todo = todo[~long]
+    x, y, left = start[todo], start[other[todo]], size[todo]
+    while len(todo):
+        differs = ((eight[x] ^ eight[y]) & _LOW_BYTES[np.minimum(left, 8)]) != 0
+        good[todo[differs]] = False
+        go = ~differs & (left > 8)
+        todo, x, y, left = todo[go], x[go] + 8, y[go] + 8, left[go] - 8
+    return good
+
+
+def word_numbers(data: np.ndarray, start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """A number for each word, equal for equal bytes and only for those, and one place of each number."""
+    key = word_hashes(data, start, end)
+    order = np.argsort(key, kind="stable")
+    new = np.append(True, key[order][1:] != key[order][:-1]) if len(key) else np.zeros(0, bool)
+    number, place = np.empty(len(key), np.int64), order[new]
+    number[order] = np.cumsum(new) - 1
+    clash = np.flatnonzero(~equal_words(data, start, end, place[number])) if len(key) else number
+    if len(clash):  # the bytes themselves tell apart words whose fingerprints are equal
+        known: dict[bytes, int] = {}
+        extra = []
+        for i in clash.tolist():
+            k = known.setdefault(data[start[i] : end[i]].tobytes(), len(place) + len(known))
+            if k == len(place) + len(extra):
+                extra.append(i)
+            number[i] = k
+        place = np.append(place, extra)
+    return number, place
+
+
+def _over_runs(x: np.ndarray, length: int, join) -> np.ndarray:
+    """join folded over each run of length successive values, by doubling."""
+    if len(x) < length:
+        return x[:0]
+    out, done, power = None, 0, 1
+    while power <= length:
+        if length & power:
+            out = x if out is None else join(out[: len(x) - done], x[done:])
+            done += power
+        power *= 2
+        if power <= length:
+            x = join(x[: -(power // 2)], x[power // 2 :])
+    return out
 
 
 def run_hashes(h: np.ndarray, length: int, which: int = 0) -> np.ndarray:
     """Fingerprint of each run of length successive hashes (len(h) - length + 1 of them)."""
-    if len(h) < length:
-        return np.zeros(0, U64)
-    power, inverse = powers(BASES[which], len(h) + 1)
-    total = np.zeros(len(h) + 1, U64)
-    np.cumsum(h * power[:-1], out=total[1:])
-    return mix64((total[length:] - total[:-length]) * inverse[: len(h) - length + 1])
+    return _over_runs(h, length, lambda a, b: mix64((a * FACTORS[which]) ^ b))
+
+
+def run_numbers(number: np.ndarray, length: int) -> np.ndarray:
+    """A number for each run of length successive numbers, equal for equal runs and only for those."""
+
+    def join(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        return np.unique(a * (int(b.max(initial=0)) + 1) + b, return_inverse=True)[1] if len(a) else a
+
+    return _over_runs(number, length, join)
 
 
 def least_in_window(value: np.ndarray, width: int) -> np.ndarray:

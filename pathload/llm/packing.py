@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 
 from pathload.llm.bpe import _LETTER, byte_alphabet, default_path
-from pathload.llm.common import SLICE_BYTES, group_count, staged, table, word_hashes
+from pathload.llm.common import SLICE_BYTES, free_name, group_count, staged, table, word_numbers
 
 CAPACITY, END_ID = 4096, 1
 #: Words kept with their ids by a worker; the table is emptied when it is full, which never changes results.
@@ -44,8 +44,8 @@ class WordIds:
     """A vocabulary file's ids for batches of texts.
 
     Usual texts are split into words by byte classes in numpy; each distinct word
-    of a slice is looked up by fingerprint, and only words not seen before go
-    through the library's merges.
+    of a slice is looked up by its bytes, and only words not seen before go through
+    the library's merges.
     """
 
     def __init__(self, path: str):
@@ -58,15 +58,15 @@ class WordIds:
         self._forget()
 
     def _forget(self) -> None:
-        self.kept: dict[int, int] = {}
+        self.kept: dict[bytes, int] = {}
         self.size, self.at, self.flat = array("q"), array("q"), array("I")
 
-    def _learn(self, keys: list[int], words: list[bytes]) -> None:
+    def _learn(self, words: list[bytes]) -> None:
         merges, spelling = self.whole.model.tokenize, self.spelling
-        for key, word in zip(keys, words, strict=True):
+        for word in words:
             text = word.decode() if word.isascii() else word.decode("latin-1").translate(spelling)
             ids = [t.id for t in merges(text)]
-            self.kept[key] = len(self.kept)
+            self.kept[word] = len(self.kept)
             self.size.append(len(ids))
             self.at.append(len(self.flat))
             self.flat.extend(ids)
@@ -90,21 +90,12 @@ class WordIds:
         end = np.append(start[1:], len(data))
         words = kind[start] != _SPACE
         start, end = start[words], end[words]
-        key = word_hashes(data, start, end)
-        order = np.argsort(key)
-        ranked = key[order]
-        new = np.append(True, ranked[1:] != ranked[:-1]) if len(key) else np.zeros(0, bool)
-        found, where = ranked[new], order[new]
-        if len(self.kept) + len(found) > WORDS_KEPT:
+        number, where = word_numbers(data, start, end)
+        if len(self.kept) + len(where) > WORDS_KEPT:
             self._forget()
-        keys = found.tolist()
-        slot = list(map(self.kept.get, keys))
-        if missing := [i for i, k in enumerate(slot) if k is None]:
-            lo, hi = start[where[missing]].tolist(), end[where[missing]].tolist()
-            self._learn([keys[i] for i in missing], [text[a:b] for a, b in zip(lo, hi, strict=True)])
-            slot = list(map(self.kept.get, keys))
-        back = np.empty(len(key), np.int64)
-        back[order] = np.array(slot, np.int64)[np.cumsum(new) - 1]
+        found = [text[a:b] for a, b in zip(start[where].tolist(), end[where].tolist(), strict=True)]
+        self._learn([w for w in found if w not in self.kept])
+        back = np.fromiter(map(self.kept.__getitem__, found), np.int64, len(found))[number]
         size, at = np.frombuffer(self.size, np.int64)[back], np.frombuffer(self.at, np.int64)[back]
         before = np.concatenate([[0], np.cumsum(size)])
         ids = np.frombuffer(self.flat, np.uint32)[np.arange(before[-1]) + np.repeat(at - before[:-1], size)]
@@ -219,23 +210,26 @@ def best_two_fit(counts: dict[int, int], capacity: int = CAPACITY) -> np.ndarray
 def pack(pieces: DataFrame, capacity: int = CAPACITY, key: str = "doc_id") -> DataFrame:
     """Adds sequence_id and offset to pieces (key, piece, start, length, ...)."""
     groups = group_count(pieces, 16 << 20)
-    pieces = pieces.withColumn("part_", F.pmod(F.xxhash64(key, "piece"), F.lit(groups)).cast("int"))
-    counts = pieces.groupBy("part_", "length").agg(F.count(F.lit(1)).alias("n"))
-    total = {r["length"]: r["n"] for r in counts.groupBy("length").agg(F.sum("n").alias("n")).collect()}  # at most capacity rows
+    part = free_name("part", pieces.columns)
+    names = pieces.columns
+    pieces = pieces.withColumn(part, F.pmod(F.xxhash64(key, "piece"), F.lit(groups)).cast("int"))
+    # Columns of their own: a cogroup of two frames that share a column's identity loses it where the right side isn't asked for it.
+    counts = pieces.groupBy(part, "length").agg(F.count(F.lit(1)).alias("n")).select(F.col(part).alias("to"), F.col("length").alias("size"), "n")
+    total = {r["size"]: r["n"] for r in counts.groupBy("size").agg(F.sum("n").alias("n")).collect()}  # at most capacity rows
     plan = best_two_fit(total, capacity)
     plan = plan[np.lexsort((plan[:, 1], plan[:, 0]))]
-    before = Window.partitionBy("length").orderBy("part_").rowsBetween(Window.unboundedPreceding, -1)
-    ranks = counts.select("part_", "length", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("before"))
-    names = [c for c in pieces.columns if c != "part_"]
+    before = Window.partitionBy("size").orderBy("to").rowsBetween(Window.unboundedPreceding, -1)
+    ranks = counts.select("to", "size", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("before"))
 
     def place(there: pa.Table, first: pa.Table) -> pa.Table:
         size = there.column("length").to_numpy()
         order = np.argsort(size, kind="stable")
         s = size[order]
         starts = np.flatnonzero(np.diff(s, prepend=-1)) if len(s) else np.zeros(0, np.int64)
-        within = np.arange(len(s)) - np.repeat(starts, np.diff(np.append(starts, len(s))))
-        by = dict(zip(first.column("length").to_pylist(), first.column("before").to_pylist(), strict=True))
-        rank = within + np.array([by[x] for x in s[starts]], np.int64).repeat(np.diff(np.append(starts, len(s)))) if len(s) else within
+        many = np.diff(np.append(starts, len(s)))
+        within = np.arange(len(s)) - np.repeat(starts, many)
+        by = dict(zip(first.column("size").to_pylist(), first.column("before").to_pylist(), strict=True))
+        rank = within + np.array([by[x] for x in s[starts].tolist()], np.int64).repeat(many) if len(s) else within
         shift = np.int64(1) << 44
         at = np.searchsorted(plan[:, 0] * shift + plan[:, 1], s * shift + rank, "right") - 1
         r, copies = rank - plan[at, 1], plan[at, 3]
@@ -244,8 +238,8 @@ def pack(pieces: DataFrame, capacity: int = CAPACITY, key: str = "doc_id") -> Da
         offset[order] = plan[at, 5] + r % copies * s
         return there.select(names).append_column("sequence_id", pa.array(sequence)).append_column("offset", pa.array(offset))
 
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in pieces.schema if f.name != "part_")
-    return pieces.groupBy("part_").cogroup(ranks.groupBy("part_")).applyInArrow(place, f"{schema}, sequence_id long, offset long")
+    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in pieces.schema if f.name != part)
+    return pieces.groupBy(part).cogroup(ranks.groupBy("to")).applyInArrow(place, f"{schema}, sequence_id long, offset long")
 
 
 def op6_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
