@@ -5,18 +5,21 @@ rarest first, from a frequency table of fixed size that counts every document. T
 sets of at least the threshold share a shingle among the first n - ceil(t n) + 1 of
 each, so only those are posted. Postings of shingles that one set alone has are
 dropped where they meet. What is left gives candidates through length, positional
-and suffix filters, and each candidate pair is verified once against the texts.
-
-Texts with equal sets are one class, settled by fingerprints before any posting is
-compared. To link classes without emitting all pairs of a large group, each
-shingle's postings are first compared with one set of that shingle only, then with
-one of those that agree with it in some parity bits; the remaining pairs that lie in
-different components, and only those, are verified then. No link between components can be missed, as every pair that passes
-the filters is verified or already connected.
-
-Contracts: null and empty texts, and texts without words, have empty sets and are
-linked with nothing; rows of equal text are one class; a row with a null id is
-its own, with a null component; an empty table gives an empty result.
+and suffix filters, and each candidate pair is verified once against the texts, by
+comparing the bytes of words.
+
+Texts with equal sets are one class, named by two fingerprints and the size and
+stood for by its smallest id; only that text has postings. To link classes without
+emitting all pairs of a large group, each shingle's postings are first compared with
+one set of that shingle only, then with one of those that agree with it in some
+parity bits; the remaining pairs that lie in different components, and only those,
+are verified then. No link between components can be missed, as every pair that
+passes the filters is verified or already connected.
+
+Contracts: ids are whole numbers; null and empty texts, and texts without words,
+have empty sets and are linked with nothing; rows of equal text are one class; rows
+of equal id are one document for links, whatever their texts; a row with a null id
+is its own, with a null component; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -27,7 +30,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from pathload.llm.common import U64, bucket_of, doc_slices, group_count, mix64, packed, run_hashes, staged, table, text_buffer, unpacked, word_hashes, word_spans
+from pathload.llm.common import U64, bucket_of, doc_slices, group_count, mix64, packed, run_hashes, run_numbers, staged, table, text_buffer, unpacked, word_hashes, word_numbers, word_spans
 from pathload.operators.components import component_roots
 
 #: Cells of the frequency table; it has this size for any input.
@@ -123,81 +126,81 @@ def _ceil_share(n, t: int):
 
 
 def describe_sets(docs: DataFrame, k: int, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """(key, n_shingles, set, set2, b0 to b3): size, fingerprints and parities of each text's set."""
+    """(key, digest, n_shingles, set, set2, b0 to b3): a hash of each text; its set's size, fingerprints and parities."""
 
     def describe(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            data, off = text_buffer(b.column(1))
+            data, off = text_buffer(b.column(2))
             for x, y in doc_slices(off):
                 h, at = distinct_sets(data[off[x] : off[y]], off[x : y + 1] - off[x], k)
                 s, s2 = set_names(h, at)
-                yield pa.RecordBatch.from_arrays([b.column(0).slice(x, y - x), pa.array(np.diff(at)), pa.array(s), pa.array(s2), *map(pa.array, parities(h, at))], [key, "n_shingles", "set", "set2", *BITS])
+                part = b.slice(x, y - x)
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(np.diff(at)), pa.array(s), pa.array(s2), *map(pa.array, parities(h, at))], [key, "digest", "n_shingles", "set", "set2", *BITS])
 
-    kept = docs.select(key, text)
-    return kept.mapInArrow(describe, f"`{key}` {kept.schema[key].dataType.simpleString()}, n_shingles bigint, set bigint, set2 bigint, b0 bigint, b1 bigint, b2 bigint, b3 bigint")
+    kept = docs.select(key, F.xxhash64(text).alias("digest"), text)
+    return kept.mapInArrow(describe, f"`{key}` {kept.schema[key].dataType.simpleString()}, digest bigint, n_shingles bigint, set bigint, set2 bigint, b0 bigint, b1 bigint, b2 bigint, b3 bigint")
 
 
-def prefix_postings(docs: DataFrame, k: int, t: int, text: str = "text") -> DataFrame:
-    """(token, set, parts, n, at): postings of prefix shingles that at least two different sets have.
+def prefix_postings(texts: DataFrame, often: np.ndarray, k: int, t: int) -> DataFrame:
+    """(token, set, parts, n, at): postings of prefix shingles that at least two sets have. texts: (set, text), one for each class.
 
-    parts: sizes of the set's four hash quarters, sixteen bits each; their differences bound the sets' difference.
+    parts: how many shingles behind this one lie in each of four hash quarters, sixteen bits each, for the suffix filter.
     """
-    often = frequencies(docs, k, text)
     rank = np.minimum(np.log2(often + 1) * 8, 255).astype(np.uint8)
-    owners = group_count(docs, 4 << 20, 2)
+    owners = group_count(texts, 4 << 20, 2)
 
     def post(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            data, off = text_buffer(b.column(0))
+            names = b.column(0).to_numpy()
+            data, off = text_buffer(b.column(1))
             out = [np.zeros(0, POSTING)]
             for x, y in doc_slices(off):
                 h, at = distinct_sets(data[off[x] : off[y]], off[x : y + 1] - off[x], k)
                 if not len(h):
                     continue
-                s, _ = set_names(h, at)
                 n = np.diff(at)
                 doc = np.repeat(np.arange(len(n)), n)
-                parts = np.zeros(len(n), np.int64)
-                for q in range(4):
-                    own = _sums(((h >> U64(60)) & U64(3) == q).astype(np.int64), at)
-                    parts |= np.minimum(own, 0x7FFF) << (16 * q)
-                order = np.lexsort((h, rank[(h & U64(CELLS - 1)).astype(np.int64)], doc))
+                h = h[np.lexsort((h, rank[(h & U64(CELLS - 1)).astype(np.int64)], doc))]
                 place = np.arange(len(h)) - at[:-1][doc]
-                _, one = np.unique(s, return_index=True)
-                single = np.zeros(len(n), bool)
-                single[one] = True
-                use = (place < (n - _ceil_share(n, t) + 1)[doc]) & single[doc]
-                r = np.empty(int(use.sum()), POSTING)
+                use = np.flatnonzero(place < (n - _ceil_share(n, t) + 1)[doc])
                 d = doc[use]
-                r["token"], r["set"], r["parts"], r["n"], r["at"] = h[order][use], s[d], parts[d], n[d], place[use]
+                r = np.empty(len(use), POSTING)
+                r["token"], r["set"], r["n"], r["at"] = h[use], names[x:y][d], n[d], place[use]
+                parts = np.zeros(len(use), np.int64)
+                for q in range(4):
+                    total = np.concatenate([[0], np.cumsum((h >> U64(60)) & U64(3) == q)])
+                    parts |= np.minimum(total[at[1:]][d] - total[use + 1], 0x7FFF) << (16 * q)
+                r["parts"] = parts
                 out.append(r)
             r = np.concatenate(out)
             yield packed(bucket_of(r["token"], owners), r)
 
     def meet(rows: pa.Table) -> pa.Table:
         r = unpacked(rows.column("block"), POSTING)
-        order = np.lexsort((r["set"], r["token"]))
-        r = r[order]
-        same = (r["token"][1:] == r["token"][:-1]) & (r["set"][1:] == r["set"][:-1])
+        r = r[np.lexsort((r["set"], r["token"]))]
+        same = r[1:] == r[:-1]
         r = r[np.append(True, ~same)] if len(r) else r
         cut = np.append(True, r["token"][1:] != r["token"][:-1]) if len(r) else np.zeros(0, bool)
         size = np.diff(np.append(np.flatnonzero(cut), len(r)))
         r = r[np.repeat(size > 1, size)]
-        return pa.table({"token": pa.array(r["token"].view(np.int64) if r["token"].flags.c_contiguous else r["token"].astype(np.int64)), "set": pa.array(r["set"].copy()), "parts": pa.array(r["parts"].copy()), "n": pa.array(r["n"].astype(np.int64)), "at": pa.array(r["at"].astype(np.int64))})
+        return pa.table({"token": pa.array(r["token"].astype(U64).view(np.int64)), "set": pa.array(r["set"].copy()), "parts": pa.array(r["parts"].copy()), "n": pa.array(r["n"].astype(np.int64)), "at": pa.array(r["at"].astype(np.int64))})
 
-    blocks = docs.select(text).mapInArrow(post, "bucket int, block binary")
+    blocks = texts.select("set", "text").mapInArrow(post, "bucket int, block binary")
     return blocks.groupBy("bucket").applyInArrow(meet, "token bigint, set bigint, parts bigint, n bigint, at bigint")
 
 
 def _filters(t: int):
-    """Length, positional and suffix filters over postings x and y of one shingle."""
-    nx, ny = F.col("x.n"), F.col("y.n")
+    """Length, positional and suffix filters over postings x and y of one shingle, right where it is the first that both have.
+
+    Behind it the sets differ in at least what the sizes of their suffixes' hash quarters differ, which bounds what they have in common.
+    """
+    nx, ny, ax, ay = F.col("x.n"), F.col("y.n"), F.col("x.at"), F.col("y.at")
     length = 100 * F.least(nx, ny) >= t * F.greatest(nx, ny)
     need = F.floor((t * (nx + ny) + (99 + t)) / (100 + t))  # least intersection
-    positional = F.least(nx - F.col("x.at"), ny - F.col("y.at")) >= need
+    positional = F.least(nx - ax, ny - ay) >= need
     part = lambda side, q: F.shiftright(F.col(f"{side}.parts"), 16 * q).bitwiseAND(F.lit(0xFFFF))
     apart = sum((F.abs(part("x", q) - part("y", q)) for q in range(1, 4)), F.abs(part("x", 0) - part("y", 0)))
-    return length & positional & (apart <= nx + ny - 2 * need)
+    return length & positional & (apart <= nx - ax + ny - ay - 2 * need)
 
 
 def _pairs(joined: DataFrame) -> DataFrame:
@@ -250,27 +253,50 @@ def all_candidates(postings: DataFrame, t: int, roots: DataFrame, sketches: Data
     return _pairs(x.join(y, (F.col("x.token") == F.col("y.token")) & (F.col("x.root") < F.col("y.root")) & _filters(t) & near))
 
 
+def exact_sets(data: np.ndarray, off: np.ndarray, k: int) -> list[np.ndarray]:
+    """Each text's distinct shingles as sorted numbers, equal for equal words only; the numbers hold within one call."""
+    low = data + _UPPER[data]
+    start, end, words = word_spans(low, off)
+    number, _ = word_numbers(low, start, end)
+    runs = run_numbers(number, k)
+    short: dict[bytes, int] = {}
+    out = []
+    for a, b in zip(words[:-1].tolist(), words[1:].tolist(), strict=True):
+        if b - a >= k:
+            out.append(np.unique(runs[a : b - k + 1]))
+        else:  # the whole sequence is one shingle
+            out.append(np.array([-1 - short.setdefault(number[a:b].tobytes(), len(short))] if b > a else [], np.int64))
+    return out
+
+
 def verified(pairs: DataFrame, texts: DataFrame, k: int, t: int) -> DataFrame:
     """(p, q) of the pairs whose texts' sets reach the threshold."""
 
     def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        left_name, left = None, None
         for b in batches:
-            data, off = text_buffer(b.column(3))
+            p, q = (text_buffer(b.column(i)) for i in (2, 3))
             names = b.column(0).to_numpy()
             good = np.zeros(b.num_rows, bool)
-            for x, y in doc_slices(off):
-                h, at = distinct_sets(data[off[x] : off[y]], off[x : y + 1] - off[x], k)
+            for x, y in doc_slices(q[1]):
+                # A left text stands once before its right texts.
+                first = np.append(True, names[x + 1 : y] != names[x : y - 1])
+                pieces, left, place = [], np.zeros(y - x, np.int64), np.zeros(y - x, np.int64)
                 for i in range(x, y):
-                    if names[i] != left_name:
-                        left_name = names[i]
-                        one, o = text_buffer(b.column(2).slice(i, 1))
-                        left = distinct_sets(one, o, k)[0]
-                    right = h[at[i - x] : at[i - x + 1]]
-                    if len(left) and len(right):
-                        place = np.minimum(np.searchsorted(left, right), len(left) - 1)
-                        common = int((left[place] == right).sum())
-                        good[i] = 100 * common >= t * (len(left) + len(right) - common)
+                    if not first[i - x] and not np.array_equal(p[0][p[1][i] : p[1][i + 1]], p[0][p[1][i - 1] : p[1][i]]):
+                        first[i - x] = True  # an id with several texts
+                    if first[i - x]:
+                        pieces.append(p[0][p[1][i] : p[1][i + 1]])
+                    left[i - x] = len(pieces) - 1 if first[i - x] else left[i - x - 1]
+                    place[i - x] = len(pieces)
+                    pieces.append(q[0][q[1][i] : q[1][i + 1]])
+                off = np.concatenate([[0], np.cumsum([len(z) for z in pieces])]).astype(np.int64)
+                sets = exact_sets(np.concatenate(pieces), off, k)
+                for i, (u, v) in enumerate(zip(left.tolist(), place.tolist(), strict=True)):
+                    a, c = sets[u], sets[v]
+                    if len(a) and len(c):
+                        at = np.minimum(np.searchsorted(a, c), len(a) - 1)
+                        common = int((a[at] == c).sum())
+                        good[x + i] = 100 * common >= t * (len(a) + len(c) - common)
             keep = pa.array(good)
             yield pa.RecordBatch.from_arrays([b.column(0).filter(keep), b.column(1).filter(keep)], ["p", "q"])
 
@@ -281,24 +307,21 @@ def verified(pairs: DataFrame, texts: DataFrame, k: int, t: int) -> DataFrame:
 
 def jaccard_components(docs: DataFrame, k: int = 5, t: int = 80, key: str = "doc_id", text: str = "text") -> DataFrame:
     """(key, n_shingles, component_id): components of the links of at least t hundredths."""
-    docs = docs.select(key, text)
-    sets = staged(describe_sets(docs, k, key, text))
-    postings = staged(prefix_postings(docs, k, t, text))
-    classes = sets.where(f"n_shingles > 0 and `{key}` is not null").groupBy("set", "set2", "n_shingles").agg(F.min(key).alias("first"), *(F.min(b).alias(b) for b in BITS))
-    # A set's name has 64 bits; should two sets ever share one, the pair is kept apart here and neither is linked through it.
-    named = classes.groupBy("set").agg(F.min("first").alias("first"), F.count(F.lit(1)).alias("names"), *(F.min(b).alias(b) for b in BITS)).where("names = 1").drop("names")
-    there = postings.select("set").distinct()
-    chosen = named.join(there, "set").select(F.col("first").alias(key), "set")
-    # A repeated id may have several texts: the one that made the set stays.
-    texts = docs.join(chosen, key)
-    own = describe_texts(texts, k, text)
-    texts = staged(own)
+    docs = docs.select(F.col(key).cast("long").alias("id"), F.col(text).alias("text"))
+    sets = staged(describe_sets(docs, k, "id"))
+    name = ["set", "set2", "n_shingles"]
+    top = F.min(F.struct("id", "digest")).alias("top")
+    classes = staged(sets.where("n_shingles > 0 and id is not null").groupBy(*name).agg(top, *(F.min(b).alias(b) for b in BITS)))
+    chosen = classes.select(F.col("top.id").alias("id"), F.col("top.digest").alias("digest"))
+    texts = staged(docs.withColumn("digest", F.xxhash64("text")).join(chosen, ["id", "digest"]).select(F.col("id").alias("set"), "text"))
+    postings = staged(prefix_postings(texts, frequencies(docs, k), k, t))
+    sketches = classes.select(F.col("top.id").alias("set"), *BITS)
     links, tried, roots = None, None, None
     for step in ("first", "near", "all"):
         if step == "first":
             found = star_candidates(postings, t)
         else:
-            found = (near_candidates if step == "near" else all_candidates)(postings, t, roots, named.select("set", *BITS))
+            found = (near_candidates if step == "near" else all_candidates)(postings, t, roots, sketches)
         if tried is not None:
             found = found.join(tried, ["p", "q"], "left_anti")
         found = staged(found)
@@ -310,26 +333,9 @@ def jaccard_components(docs: DataFrame, k: int = 5, t: int = 80, key: str = "doc
         links = staged(good if links is None else links.unionByName(good))
         tried = found if tried is None else tried.unionByName(found)
         roots = staged(component_roots(links, "p", "q"))
-    placed = classes.join(roots.select(F.col("id").alias("set"), "root"), "set", "left").withColumn("root", F.coalesce("root", "set"))
-    least = placed.groupBy("root").agg(F.min("first").alias("component_id"))
-    member = placed.join(least, "root")
-    member = member.select("set", "set2", "n_shingles", "component_id")
-    return sets.drop(*BITS).join(member, ["set", "set2", "n_shingles"], "left").select(key, F.col("n_shingles").cast("long").alias("n_shingles"), F.when(F.col(key).isNotNull(), F.coalesce("component_id", key)).alias("component_id"))
-
-
-def describe_texts(texts: DataFrame, k: int, text: str = "text") -> DataFrame:
-    """(set, text): one text for each set, texts that don't make their set left out."""
-
-    def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            data, off = text_buffer(b.column(1))
-            for x, y in doc_slices(off):
-                h, at = distinct_sets(data[off[x] : off[y]], off[x : y + 1] - off[x], k)
-                part = b.slice(x, y - x)
-                good = pa.array(set_names(h, at)[0] == part.column(0).to_numpy())
-                yield pa.RecordBatch.from_arrays([part.column(0).filter(good), part.column(1).filter(good)], ["set", "text"])
-
-    return texts.select("set", text).mapInArrow(keep, "set bigint, text string")
+    # A root is its component's smallest id.
+    member = classes.select(*name, F.col("top.id").alias("first")).join(roots.select(F.col("id").alias("first"), "root"), "first", "left").select(*name, F.coalesce("root", "first").alias("component_id"))
+    return sets.select("id", *name).join(member, name, "left").select(F.col("id").alias(key), "n_shingles", F.when(F.col("id").isNotNull(), F.coalesce("component_id", "id")).alias("component_id"))
 
 
 def op4_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
