@@ -1,22 +1,26 @@
 """Finding repeated windows of words or bytes without moving every window.
 
 Each window of a text has one anchor: its leftmost least k-gram by a hash. Equal
-windows have equal anchors, and neighbouring windows mostly share theirs, so there
-are many times fewer anchors than windows. The steps, each one shuffle of packed
-blocks keyed by a hash:
-
-1. texts, dealt by a hash of their row, send the distinct anchors of a group;
-2. owners of anchor ranges estimate how often each occurs and send back those that
-   may occur twice;
-3. texts send the windows under such anchors, once for each distinct content of a
-   group, to the owner of the anchor;
+windows have equal anchors, and neighbouring windows mostly share theirs, so a
+count-min sketch that hashes a window through its anchor needs a cell for each
+occurrence of an anchor and not for each window; two occurrences of a window always
+have two occurrences of its anchor, so no count is ever too low. The steps, each one
+shuffle of packed blocks:
+
+1. texts, dealt by a hash of their row, make a partition's sketch: the cells of its
+   windows in two rows, with counts;
+2. owners of cell ranges add the partitions' sketches up and tell each partition
+   which of its cells reach two, and which are crowded;
+3. texts send the windows whose estimate reaches two, once for each distinct content
+   of a partition, to an owner by a hash;
 4. owners compare windows exactly and send intervals of repeated places back;
 5. texts drop what the intervals cover.
 
-All steps read the same exchange of the texts, so texts are shuffled once. Whatever
-repeats within a group is settled there, so a window that a third of the rows hold
-reaches its owner once for each group. Rows of a group are told apart by their
-place in the order of key and text; equal rows are interchangeable.
+The cells grow with the input and are never gathered, so an estimate is as good at
+any size. All steps read the same exchange of the texts, so texts are shuffled once.
+Whatever repeats within a partition is settled there, so a window that a third of
+the rows hold reaches its owner once for each partition. Rows of a partition are told
+apart by their place in the order of key and text; equal rows are interchangeable.
 """
 
 from __future__ import annotations
@@ -25,9 +29,12 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from pathload.llm.common import U64, bucket_of, least_in_window, mix64, opened, packed, size_groups, squeezed, text_buffer, trim, unpacked
+from pathload.llm.common import U64, bucket_of, free_name, least_in_window, mix64, opened, packed, size_groups, squeezed, text_buffer, trim, unpacked
 
-PART, BUCKET, BLOCK, MARKS = "part__", "bucket__", "block__", "marks__"
+BUCKET, SOURCE, BLOCK, MARKS = "bucket", "source", "block", "marks"
+#: Cells of one row of the sketch in an owner's range, and from how many occurrences an anchor's windows are split further.
+WIDTH, CROWDED = 1 << 20, 8192
+CELL = np.dtype([("cell", "<u4")])  # cell above eight bits of count
 INTERVAL = np.dtype([("row", "<u4"), ("start", "<u4"), ("end", "<u4")])
 _PLACE = U64((1 << 28) - 1)
 #: Windows whose anchors are found in one numpy pass; a longer text takes several passes that overlap.
@@ -71,13 +78,15 @@ class Repeats:
 
     #: Packed window records.
     record: np.dtype
+    #: Bytes of text for each occurrence of an anchor, about.
+    spacing: int
 
     def anchors(self, data: np.ndarray, off: np.ndarray) -> np.ndarray:
-        """Hashes of all anchors of some texts."""
+        """Hashes of all occurrences of anchors in some texts."""
         raise NotImplementedError
 
-    def windows(self, data: np.ndarray, off: np.ndarray, keys: pa.Array, suspects: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """(anchor hashes, records, intervals settled here) of the windows under suspected anchors."""
+    def windows(self, data: np.ndarray, off: np.ndarray, keys: pa.Array, suspects: np.ndarray, crowded: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(routing hashes, records, intervals settled here) of the windows under suspected anchors; both lists of anchors are sorted."""
         raise NotImplementedError
 
     def decide(self, records: np.ndarray, source: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -89,87 +98,105 @@ class Repeats:
         raise NotImplementedError
 
 
-def sketched_twice(h: np.ndarray, often: np.ndarray) -> np.ndarray:
-    """Whether a count-min sketch of two rows estimates each hash at two or more.
+def sketch_cells(h: np.ndarray, owners: int) -> list[np.ndarray]:
+    """Each hash's cell in either row, out of owners * WIDTH * 2; a range of 2 * WIDTH cells belongs to one owner."""
+    out = []
+    for row, seed in enumerate((0xA24BAED4963EE407, 0x9FB21C651E98DF25)):
+        g = mix64(h ^ U64(seed))
+        out.append(((bucket_of(g, owners) * 2 + row) * WIDTH + (g & U64(WIDTH - 1)).astype(np.int64)))
+    return out
+
+
+def partition_sketch(h: np.ndarray, owners: int) -> tuple[np.ndarray, np.ndarray]:
+    """(cells that the hashes reach, in order; their counts)."""
+    return np.unique(np.concatenate(sketch_cells(h, owners)), return_counts=True)
 
-    The sketch has four cells for each hash of this owner's range and sums what
-    every source sent; a source that saw a hash twice says so in `often`. It never
-    estimates too low.
-    """
-    width = 1 << max(6, int(4 * len(h)).bit_length())
-    add = np.where(often, 2, 1).astype(np.int64)
-    low = np.full(len(h), np.iinfo(np.int64).max)
-    for shift in (3, 31):
-        cell = ((h >> U64(shift)) & U64(width - 1)).astype(np.int64)
-        low = np.minimum(low, np.bincount(cell, add, width)[cell].astype(np.int64))
-    return low >= 2
+
+def merged_sketch(cells: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Whether each record's cell reaches two, and CROWDED, in the sum of all partitions' records of one owner."""
+    cell, n = (cells >> np.uint32(8)).astype(np.int64), (cells & np.uint32(255)).astype(np.float64)
+    total = np.bincount(cell, n, 2 * WIDTH)[cell] if len(cells) else n
+    return total >= 2, total >= CROWDED
 
 
 def _ordered(rows: pa.Table, key: str, text: str) -> pa.Table:
     return rows.sort_by([(key, "ascending"), (text, "ascending")]).combine_chunks()
 
 
-def owner_of(anchor: np.ndarray, owners: int) -> np.ndarray:
+def owner_of(key: np.ndarray, owners: int) -> np.ndarray:
     """Anchors are least hashes, so small ones are common: their owner comes from a second mix."""
-    return bucket_of(mix64(anchor & ~U64(1)), owners)
+    return bucket_of(mix64(key), owners)
 
 
 def _blocks(bucket: np.ndarray, records: np.ndarray, source: int) -> pa.Table:
     made = packed(bucket, records)
-    blocks = squeezed(made.column(1), records.dtype) if records.dtype.names else made.column(1)
-    return pa.table({BUCKET: made.column(0), PART: pa.array(np.full(made.num_rows, source, np.int32)), BLOCK: blocks})
+    return pa.table({BUCKET: made.column(0), SOURCE: pa.array(np.full(made.num_rows, source, np.int32)), BLOCK: squeezed(made.column(1), records.dtype)})
 
 
 def without_repeats(docs: DataFrame, kind: Repeats, key: str = "doc_id", text: str = "text", carry: tuple[str, ...] = ()) -> DataFrame:
-    """(key, carried columns, kept binary, n_units, n_removed, spans): each row's text without its repeats."""
+    """(key, carried columns, kept binary, n_units, n_removed, spans): each row's text without its repeats.
+
+    A result whose name a carried column has gets an underscore more.
+    """
     docs = docs.select(key, text, *carry)
     parts, owners = size_groups(docs, 2 << 20), size_groups(docs, 1 << 20)
-    dealt = docs.withColumn(PART, F.pmod(F.xxhash64(key, text), F.lit(parts)).cast("int"))
-    grouped = lambda df, by=PART: df.groupBy(by)
+    ranges = size_groups(docs, kind.spacing * WIDTH // 4)
+    part = free_name("part", docs.columns)
+    results = [free_name(x, (key, *carry)) for x in ("kept", "n_units", "n_removed", "spans")]
+    dealt = docs.withColumn(part, F.pmod(F.xxhash64(key, text), F.lit(parts)).cast("int"))
 
-    def send_anchors(key_: tuple, rows: pa.Table) -> pa.Table:
+    def send_sketch(name: tuple, rows: pa.Table) -> pa.Table:
         trim()
         data, off = text_buffer(rows.column(text))
-        h = np.sort(kind.anchors(data, off) & ~U64(1))
-        first = np.append(True, h[1:] != h[:-1]) if len(h) else np.zeros(0, bool)
-        at = np.flatnonzero(first)
-        twice = np.diff(np.append(at, len(h))) > 1
-        h = h[at] | twice.astype(U64)
-        return _blocks(owner_of(h, owners), h, key_[0].as_py())
-
-    def suspect(rows: pa.Table) -> pa.Table:
+        cell, n = partition_sketch(kind.anchors(data, off), ranges)
+        records = np.empty(len(cell), CELL)
+        records["cell"] = (cell % (2 * WIDTH)) << 8 | np.minimum(n, 255)
+        return _blocks(cell // (2 * WIDTH), records, name[0].as_py())
+
+    def merge(rows: pa.Table) -> pa.Table:
         trim()
-        blocks = rows.column(BLOCK)
-        h = unpacked(blocks, np.dtype(U64))
-        size = np.diff(text_buffer(blocks)[1]) // 8
-        good = sketched_twice(h & ~U64(1), (h & U64(1)).astype(bool))
-        source = np.repeat(rows.column(PART).to_numpy(), size)
-        made = packed(source[good], h[good] & ~U64(1))
-        return pa.table({PART: made.column(0), BLOCK: made.column(1)})
-
-    def send_windows(key_: tuple, rows: pa.Table, suspects: pa.Table) -> pa.Table:
+        records, size = opened(rows.column(BLOCK), CELL)
+        flags = np.stack(merged_sketch(records["cell"]), axis=1)
+        ends = np.cumsum(size)
+        bits = pa.array([np.packbits(flags[b - n : b]).tobytes() for b, n in zip(ends.tolist(), size.tolist(), strict=True)], pa.binary())
+        return pa.table({SOURCE: rows.column(SOURCE), BUCKET: rows.column(BUCKET), BLOCK: bits})
+
+    def suspected(h: np.ndarray, replies: pa.Table) -> tuple[np.ndarray, np.ndarray]:
+        """The anchors that both rows of the merged sketch estimate at two, and at CROWDED, sorted."""
+        cell, _ = partition_sketch(h, ranges)
+        many = np.bincount(cell // (2 * WIDTH), minlength=ranges)
+        flags = [np.zeros((0, 2), np.uint8)]
+        replies = replies.sort_by(BUCKET)
+        for owner, bits in zip(replies.column(BUCKET).to_pylist(), replies.column(BLOCK), strict=True):
+            flags.append(np.unpackbits(np.frombuffer(bits.as_buffer(), np.uint8), count=2 * int(many[owner])).reshape(-1, 2))
+        flags = np.concatenate(flags).astype(bool)
+        h = np.unique(h)
+        a, b = (flags[np.searchsorted(cell, x)] for x in sketch_cells(h, ranges))
+        both = a & b
+        return h[both[:, 0]], h[both[:, 1]]
+
+    def send_windows(name: tuple, rows: pa.Table, replies: pa.Table) -> pa.Table:
         trim()
         rows = _ordered(rows, key, text)
         data, off = text_buffer(rows.column(text))
-        known = np.unique(unpacked(suspects.column(BLOCK), np.dtype(U64)))
-        h, records, settled = kind.windows(data, off, rows.column(key).combine_chunks(), known)
-        source = (key_[0].as_py() if key_[0].is_valid else 0) if len(key_) else 0
+        h = kind.anchors(data, off) if replies.num_rows else np.zeros(0, U64)
+        h, records, settled = kind.windows(data, off, rows.column(key).combine_chunks(), *suspected(h, replies))
+        source = (name[0].as_py() if name[0].is_valid else 0) if len(name) else 0
         out = _blocks(owner_of(h, owners), records, source)
         out = out.append_column(MARKS, pa.nulls(out.num_rows, pa.binary()))
         if len(settled):
-            own = pa.table({BUCKET: pa.array([source % owners], pa.int32()), PART: pa.array([source], pa.int32()), BLOCK: pa.array([None], pa.binary()), MARKS: pa.array([settled.tobytes()], pa.binary())})
+            own = pa.table({BUCKET: pa.array([source % owners], pa.int32()), SOURCE: pa.array([source], pa.int32()), BLOCK: pa.array([None], pa.binary()), MARKS: pa.array([settled.tobytes()], pa.binary())})
             out = pa.concat_tables([out, own])
         return out
 
     def decide(rows: pa.Table) -> pa.Table:
         trim()
         records, size = opened(rows.column(BLOCK), kind.record)
-        source = np.repeat(rows.column(PART).to_numpy(), size)
-        to, marks = kind.decide(records, source)
-        made = packed(to, marks)
-        out = pa.table({PART: made.column(0), BLOCK: made.column(1)})
+        source = np.repeat(rows.column(SOURCE).to_numpy(), size)
+        made = packed(*kind.decide(records, source))
+        out = pa.table({SOURCE: made.column(0), BLOCK: made.column(1)})
         settled = rows.filter(rows.column(MARKS).is_valid())
-        return pa.concat_tables([out, pa.table({PART: settled.column(PART), BLOCK: settled.column(MARKS)}, schema=out.schema)])
+        return pa.concat_tables([out, pa.table({SOURCE: settled.column(SOURCE), BLOCK: settled.column(MARKS)}, schema=out.schema)])
 
     def finish(rows: pa.Table, marks: pa.Table) -> pa.Table:
         trim()
@@ -180,14 +207,16 @@ def without_repeats(docs: DataFrame, kind: Repeats, key: str = "doc_id", text: s
         m = cover(m["row"], m["start"], m["end"].astype(np.int64) - m["start"])
         at = np.searchsorted(m["row"], np.arange(len(off)))
         done = [kind.drop(raw[off[i] : off[i + 1]], m[at[i] : at[i + 1]]) for i in range(rows.num_rows)]
-        for name, i, t in (("kept", 0, pa.binary()), ("n_units", 1, pa.int64()), ("n_removed", 2, pa.int64())):
+        rows = rows.drop_columns([part, text])
+        for name, i, t in zip(results, range(3), (pa.binary(), pa.int64(), pa.int64()), strict=False):
             rows = rows.append_column(name, pa.array([d[i] for d in done], t))
         spans = pa.array([[{"start": a, "end": b} for a, b in d[3]] for d in done], pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())])))
-        return rows.append_column("spans", spans).drop_columns([PART, text])
+        return rows.append_column(results[3], spans)
 
-    anchors = grouped(dealt).applyInArrow(send_anchors, f"{BUCKET} int, {PART} int, {BLOCK} binary")
-    suspects = grouped(anchors, BUCKET).applyInArrow(suspect, f"{PART} int, {BLOCK} binary")
-    windows = grouped(dealt).cogroup(grouped(suspects)).applyInArrow(send_windows, f"{BUCKET} int, {PART} int, {BLOCK} binary, {MARKS} binary")
-    marks = grouped(windows, BUCKET).applyInArrow(decide, f"{PART} int, {BLOCK} binary")
+    sketches = dealt.groupBy(part).applyInArrow(send_sketch, f"{BUCKET} int, {SOURCE} int, {BLOCK} binary")
+    replies = sketches.groupBy(BUCKET).applyInArrow(merge, f"{SOURCE} int, {BUCKET} int, {BLOCK} binary")
+    windows = dealt.groupBy(part).cogroup(replies.groupBy(SOURCE)).applyInArrow(send_windows, f"{BUCKET} int, {SOURCE} int, {BLOCK} binary, {MARKS} binary")
+    marks = windows.groupBy(BUCKET).applyInArrow(decide, f"{SOURCE} int, {BLOCK} binary")
     carried = "".join(f"`{c}` {docs.schema[c].dataType.simpleString()}, " for c in (key, *carry))
-    return grouped(dealt).cogroup(grouped(marks)).applyInArrow(finish, f"{carried}kept binary, n_units bigint, n_removed bigint, spans array<struct<start:bigint,end:bigint>>")
+    kept, units, removed, spans = (f"`{x}`" for x in results)
+    return dealt.groupBy(part).cogroup(marks.groupBy(SOURCE)).applyInArrow(finish, f"{carried}{kept} binary, {units} bigint, {removed} bigint, {spans} array<struct<start:bigint,end:bigint>>")

@@ -5,7 +5,8 @@ starts in a text of a smaller id. Windows of bytes that share an anchor form one
 super-string of at most 2 * length - k bytes; super-strings under an anchor that
 occurs once are unique and stay at home (see anchored). An owner of anchors
 collapses equal super-strings and indexes those that differ from another one under
-the same anchor: their suffixes are sorted, the Burrows-Wheeler transform is kept
+the same anchor (under a crowded anchor: with the same least hashes near both ends
+too, so that a common phrase spreads by its surroundings): their suffixes are sorted, the Burrows-Wheeler transform is kept
 as runs with a suffix sample at each run's end, and the super-strings are streamed
 through it backwards, all at once, one LF step a byte. A step's row says which
 class of rows with `length` common bytes the suffix belongs to, that is whether its
@@ -24,7 +25,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from pathload.llm.anchored import Repeats, anchors_of, cover, without_repeats
-from pathload.llm.common import U64, doc_slices, mix64, table
+from pathload.llm.common import U64, doc_slices, least_in_window, mix64, table
 from pathload.llm.windows import _by_source
 
 _LAST = np.iinfo(np.int64).max
@@ -156,6 +157,7 @@ class ByteRepeats(Repeats):
         """whole_characters: intervals shrink to UTF-8 character borders, so that what stays is text."""
         self.length, self.gram, self.whole_characters = length, gram, whole_characters
         self.width = 2 * length - gram  # the longest super-string
+        self.spacing = max(1, (length - gram + 2) // 2)
         self.record = np.dtype([("doc", "<i8"), ("anchor", "<u8"), ("row", "<u4"), ("at", "<u4"), ("size", "<u2"), ("text", "u1", (self.width,))])
 
     def _slice(self, data: np.ndarray, off: np.ndarray):
@@ -194,18 +196,47 @@ class ByteRepeats(Repeats):
                 found.append(h[at[np.append(True, at[1:] != at[:-1])]])
         return np.concatenate(found)
 
-    def windows(self, data, off, keys, suspects):
+    @staticmethod
+    def _runs(anchor: np.ndarray, inside: np.ndarray, more: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+        """First and last window of each run under one anchor; more: further places before which a run ends."""
+        change = anchor[1:] != anchor[:-1]
+        if more is not None:
+            change |= more
+        first, last = inside.copy(), inside.copy()
+        first[1:] &= change | ~inside[:-1]
+        last[:-1] &= change | ~inside[1:]
+        return np.flatnonzero(first), np.flatnonzero(last)
+
+    def _crowded(self, h: np.ndarray, anchor: np.ndarray, lo: np.ndarray, hi: np.ndarray, crowded: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray] | None:
+        """(windows under crowded anchors, what parts them by window, changes of that among them): least hashes near the window's start and near its end."""
+        if not len(crowded) or not len(lo):
+            return None
+        hot = np.isin(h[anchor[lo]], crowded)
+        if not hot.any():
+            return None
+        edge = np.zeros(len(anchor) + 1, np.int64)
+        np.add.at(edge, lo[hot], 1)
+        np.add.at(edge, hi[hot] + 1, -1)
+        under = np.cumsum(edge[:-1]) > 0
+        grams = self.length - self.gram + 1
+        width = max(1, grams // 4)
+        least = least_in_window(mix64(h ^ U64(0xC2B2AE3D27D4EB4F)), width)
+        apart = mix64(least[: len(anchor)] ^ mix64(least[grams - width : grams - width + len(anchor)]))
+        return under, apart, under[1:] & under[:-1] & (apart[1:] != apart[:-1])
+
+    def windows(self, data, off, keys, suspects, crowded):
         docs = pc.fill_null(pc.cast(keys, pa.int64()), _LAST).to_numpy(zero_copy_only=False)
         parts = [np.zeros(0, self.record)]
         for a, s, own, h, anchor, inside in self._windows(data, off) if len(suspects) else ():
-            first = inside.copy()
-            first[1:] &= (anchor[1:] != anchor[:-1]) | ~inside[:-1]
-            last = inside.copy()
-            last[:-1] &= (anchor[1:] != anchor[:-1]) | ~inside[1:]
-            lo, hi = np.flatnonzero(first), np.flatnonzero(last)
-            key = h[anchor[lo]] & ~U64(1)
+            lo, hi = self._runs(anchor, inside)
+            split = self._crowded(h, anchor, lo, hi, crowded)
+            if split is not None:
+                lo, hi = self._runs(anchor, inside, split[2])
+            key = h[anchor[lo]]
             at = np.minimum(np.searchsorted(suspects, key), len(suspects) - 1)
             use = suspects[at] == key
+            if split is not None:
+                key = np.where(split[0][lo], mix64(key ^ split[1][lo]), key)
             lo, size, key = lo[use], hi[use] - lo[use] + self.length, key[use]
             if not len(lo):
                 continue

@@ -27,7 +27,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from pathload.llm.common import staged, table
+from pathload.llm.common import free_name, staged, table
 
 #: Most labelled rows learned from (those of smallest id hash), most lexicon entries, least rows and log odds of an entry.
 SAMPLE_ROWS, ENTRIES, LEAST_ROWS, LEAST_ODDS = 20_000, 4096, 5, 2.0
@@ -108,8 +108,9 @@ def learn(sample: DataFrame, entries: int = ENTRIES, least_rows: int = LEAST_ROW
         if found[term] > had + 0.25:
             weights[term] = found[term] - had
     model = {"weights": weights, "slope": 0.0, "shift": 0.0}
-    scored = _raw(sample.select("text", "label"), model).select("raw__", "label").collect()  # two numbers a row of the bounded sample
-    x = np.array([r["raw__"] for r in scored])
+    scored, raw = _raw(sample.select("text", "label"), model)
+    scored = scored.select(raw, "label").collect()  # two numbers a row of the bounded sample
+    x = np.array([r[raw] for r in scored])
     y = np.array([float(bool(r["label"])) for r in scored])
     return model | dict(zip(("slope", "shift"), _curve(x, y), strict=True))
 
@@ -167,33 +168,35 @@ def raw_score(text: str, weights: str) -> float:
     return total / math.log(10 + folded.count(" "))
 
 
-def _raw(docs: DataFrame, model: dict, text: str = "text") -> DataFrame:
-    """All columns of the frame and raw__, the text's sum."""
+def _raw(docs: DataFrame, model: dict, text: str = "text") -> tuple[DataFrame, str]:
+    """All columns of the frame and one more, the text's sum; that column's name."""
     weights = json.dumps(model["weights"], sort_keys=True)
     at = docs.columns.index(text)
+    name = free_name("raw", docs.columns)
 
     def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             raw = [raw_score(t.as_py() or "", weights) for t in b.column(at)]
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(raw, pa.float64())], [*b.schema.names, "raw__"])
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(raw, pa.float64())], [*b.schema.names, name])
 
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
-    return docs.mapInArrow(score, f"{kinds}, raw__ double")
+    return docs.mapInArrow(score, f"{kinds}, `{name}` double"), name
 
 
-def _score(model: dict):
-    return 1 / (1 + F.exp(-(F.col("raw__") * model["slope"] + model["shift"])))
+def _score(model: dict, raw: str):
+    return 1 / (1 + F.exp(-(F.col(raw) * model["slope"] + model["shift"])))
 
 
 def score_toxicity(docs: DataFrame, model: dict, key: str = "doc_id", text: str = "text", threshold: float = THRESHOLD) -> DataFrame:
     """(key, score, predicted) of each whole text."""
-    scored = _raw(docs.select(key, text), model, text).select(key, _score(model).alias("score"))
-    return scored.withColumn("predicted", (F.col("score") >= threshold).cast("int"))
+    scored, raw = _raw(docs.select(key, text), model, text)
+    return scored.select(key, _score(model, raw).alias("score")).withColumn("predicted", (F.col("score") >= threshold).cast("int"))
 
 
 def without_toxic(docs: DataFrame, model: dict, text: str = "text", threshold: float = THRESHOLD) -> DataFrame:
     """The rows whose texts score below the threshold, with all their columns."""
-    return _raw(docs, model, text).where(_score(model) < threshold).select(*docs.columns)
+    scored, raw = _raw(docs, model, text)
+    return scored.where(_score(model, raw) < threshold).select(*(f"`{c}`" for c in docs.columns))
 
 
 def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:

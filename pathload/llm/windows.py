@@ -1,8 +1,10 @@
 """Substring dedup by words, with a count-min prefilter.
 
-Partition sketches of window anchors are merged by range; a window's count is at
-most its anchor's, so the estimate loses no repeated window. Only windows that may
-repeat are then grouped exactly, by fingerprints of 96 bits.
+Partitions' sketches of windows are added up by cell ranges and overestimate each
+window's count, so none that repeats is lost (see anchored). Only windows estimated
+at two or more are then grouped exactly, by two independent fingerprints of 64 bits
+of their words, each owner taking a range of the windows' own hashes: a common phrase
+whose surroundings differ has many different windows, and those go to many owners.
 
 Contracts: null and empty texts have no words; texts of fewer words than a window
 keep everything; equal rows repeat each other; a null id is an id of its own row;
@@ -22,7 +24,8 @@ from pathload.llm.common import U64, doc_slices, run_hashes, table, word_hashes,
 class WordRepeats(Repeats):
     """Windows of `window` words that occur anywhere else too."""
 
-    record = np.dtype([("a", "<u8"), ("b", "<u4"), ("row", "<u4"), ("at", "<u4")])
+    record = np.dtype([("a", "<u8"), ("b", "<u8"), ("row", "<u4"), ("at", "<u4")])
+    spacing = 64
 
     def __init__(self, window: int = 35):
         self.window = window
@@ -46,30 +49,28 @@ class WordRepeats(Repeats):
             found.append(grams[at[np.append(True, at[1:] != at[:-1])]] if len(at) else np.zeros(0, U64))
         return np.concatenate(found)
 
-    def windows(self, data, off, keys, suspects):
-        hashes, parts = [np.zeros(0, U64)], [np.zeros(0, self.record)]
+    def windows(self, data, off, keys, suspects, crowded):
+        parts = [np.zeros(0, self.record)]
         for a, b in doc_slices(off) if len(suspects) else ():
             part, own = data[off[a] : off[b]], off[a : b + 1] - off[a]
             start, end, words, h, grams, anchor, doc, inside = self._slice(part, own)
-            key = grams[anchor] & ~U64(1)
+            key = grams[anchor]
             at = np.minimum(np.searchsorted(suspects, key), len(suspects) - 1)
             use = np.flatnonzero(inside & (suspects[at] == key))
             if not len(use):
                 continue
             out = np.empty(len(use), self.record)
-            out["a"] = run_hashes(h, self.window, 1)[use]
-            out["b"] = run_hashes(word_hashes(part, start, end, 1), self.window, 2)[use] >> U64(32)
+            out["a"] = run_hashes(h, self.window)[use]
+            out["b"] = run_hashes(word_hashes(part, start, end, 1), self.window, 1)[use]
             out["row"], out["at"] = doc[use] + a, use - words[doc[use]]
-            hashes.append(key[use])
             parts.append(out)
-        h, r = np.concatenate(hashes), np.concatenate(parts)
-        order = np.lexsort((r["b"], r["a"]))
-        h, r = h[order], r[order]
+        r = np.concatenate(parts)
+        r = r[np.lexsort((r["b"], r["a"]))]
         first = self._first(r)
         at = np.flatnonzero(first)
         many = np.repeat(np.diff(np.append(at, len(r))) > 1, np.diff(np.append(at, len(r))))
         settled = cover(r["row"][many], r["at"][many], self.window)
-        return h[at], r[at], settled
+        return r["a"][at], r[at], settled
 
     @staticmethod
     def _first(r: np.ndarray) -> np.ndarray:

@@ -143,11 +143,28 @@ def test_squeezed_blocks():
         assert back.tobytes() == records.tobytes() and count.tolist() == [len(records), 0]
 
 
-def test_sketch_never_low():
-    h = np.random.default_rng(1).integers(0, 2**63, 5000).astype(np.uint64) & ~np.uint64(1)
-    both = np.concatenate([h, h[:700]])
-    low = anchored.sketched_twice(both, np.zeros(len(both), bool))
-    assert low[:700].all() and low[5000:].all()
+def test_merged_sketch_never_low():
+    """Cells of several partitions, added up, never estimate below the true count."""
+    rng = np.random.default_rng(1)
+    h = rng.integers(0, 2**63, 5000).astype(np.uint64)
+    parts = [np.concatenate([h[:3000], h[:5]]), np.concatenate([h[2900:4000], np.repeat(h[7], 3000)]), h[3990:]]
+    sent = []
+    for x in parts:
+        cell, n = anchored.partition_sketch(x, 3)
+        sent.append((cell, (cell % (2 * anchored.WIDTH) << 8 | np.minimum(n, 255)).astype(np.uint32)))
+    two, crowd = {}, {}
+    for owner in range(3):
+        mine = [(c[c // (2 * anchored.WIDTH) == owner], r[c // (2 * anchored.WIDTH) == owner]) for c, r in sent]
+        flags = anchored.merged_sketch(np.concatenate([r for _, r in mine]))
+        for c, t, w in zip(np.concatenate([c for c, _ in mine]).tolist(), *(f.tolist() for f in flags)):
+            assert two.setdefault(c, t) == t and crowd.setdefault(c, w) == w  # all partitions hear the same
+    often = {int(x): sum(int((p == x).sum()) for p in parts) for x in h}
+    suspected = 0
+    for x, *cells in zip(h.tolist(), *(c.tolist() for c in anchored.sketch_cells(h, 3))):
+        estimate = all(two[c] for c in cells)
+        assert estimate or often[x] < 2
+        suspected += estimate
+    assert suspected <= 130
 
 
 def test_empty_tables(spark):
