@@ -28,6 +28,21 @@ def cut_lineage(df: DataFrame) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def forget(spark: SparkSession, path: str) -> None:
+    """Deletes a folder that nothing will read again."""
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+
+
+def cut_and_forget(df: DataFrame, before: str | None) -> tuple[DataFrame, str]:
+    """The frame written and read back, and its folder; what the step before wrote goes when this step's is there."""
+    path = shared_folder(df.sparkSession)
+    df.write.parquet(path)
+    if before is not None:
+        forget(df.sparkSession, before)
+    return df.sparkSession.read.schema(df.schema).parquet(path), path
+
+
 def _stars(edges: DataFrame, larger: bool) -> DataFrame:
     """One star step over edges (a > b)."""
     if larger:
@@ -45,10 +60,10 @@ def component_roots(links: DataFrame, left: str = "a", right: str = "b", rounds:
     """(id, root) for each vertex of the links: root is the least vertex of its component."""
     edges = links.where(F.col(left).isNotNull() & F.col(right).isNotNull()).select(F.greatest(left, right).alias("a"), F.least(left, right).alias("b")).distinct()
     every = edges.select(F.explode(F.array("a", "b")).alias("id")).distinct()
-    edges = cut_lineage(edges.where("a <> b"))
+    edges, path = cut_and_forget(edges.where("a <> b"), None)
     seen = None
     for _ in range(rounds):
-        edges = cut_lineage(_stars(_stars(edges, True), False))
+        edges, path = cut_and_forget(_stars(_stars(edges, True), False), path)
         sign = edges.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
         if sign == seen:
             break
