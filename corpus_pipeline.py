@@ -11,7 +11,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from pathload.llm import jaccard, packing, runlength, secrets, toxicity
-from pathload.llm.common import staged, table
+from pathload.llm.common import free_name, staged, table
 
 #: Near duplicates: words of a shingle and hundredths of similarity.
 SHINGLE_WORDS, SIMILARITY = 5, 80
@@ -34,7 +34,8 @@ def drop_repeated_strings(spark: SparkSession, docs: DataFrame, sf_dir: str) ->
     """Texts without the strings that a smaller id has, cut at whole characters."""
     rest = tuple(c for c in docs.columns if c not in ("doc_id", "text"))
     done = runlength.drop_repeated_bytes(docs, 50, carry=rest, whole_characters=True)
-    return _renewed(done.withColumn("text", F.decode("kept", "UTF-8")), docs)
+    kept = free_name("kept", ("doc_id", *rest))
+    return _renewed(done.withColumn("text", F.decode(f"`{kept}`", "UTF-8")), docs)
 
 
 def mask_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -50,7 +51,7 @@ def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 def _renewed(done: DataFrame, docs: DataFrame) -> DataFrame:
     if "n_chars" in docs.columns:
         done = done.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
-    return done.select(*docs.columns)
+    return done.select(*(f"`{c}`" for c in docs.columns))
 
 
 STAGES = [
