@@ -1,12 +1,13 @@
 """Embedding near-dedup by a forest of random-projection trees.
 
-Each tree splits at the median of a random projection, with a margin: vectors near
-a split go to both sides. Directions are one for each level of a tree, thresholds
-come from a bounded sample (and below the sample's reach from the level's median),
-so a tree is a small table that travels with the task while every vector is put
-into its leaves. Vectors that share a leaf and a label are compared by cosine in
-double precision. A pair counts in the smallest leaf that it shares, so it counts
-once over all trees without being emitted; links reach the union step as stars.
+Each node of each tree has a random direction of its own and splits at the median of
+its vectors' projections, with a margin: vectors near a split go to both sides.
+Directions follow from a seed, thresholds come from a bounded sample (and below the
+sample's reach from the median of all of the level's projections), so a tree is a
+small table that travels with the task while every vector is put into its leaves.
+Vectors that share a leaf and a label are compared by cosine in double precision. A
+pair counts in the smallest leaf that it shares, so it counts once over all trees
+without being emitted; links reach the union step as stars.
 
 Vectors of equal components and label are one class with a multiplicity. A leaf of
 more than `block` classes is compared in pairs of blocks by several tasks.
@@ -19,6 +20,7 @@ an empty table gives an empty result.
 
 from __future__ import annotations
 
+import functools
 from collections.abc import Iterator
 
 import numpy as np
@@ -29,46 +31,57 @@ from pathload.llm.common import staged, table
 from pathload.operators.components import component_roots
 
 #: Rows that the trees are fitted on (those of least id hash), trees, rows of a leaf, spill margin in standard deviations, rows of a block.
-SAMPLE, TREES, LEAF, SPILL, BLOCK_ROWS = 16_384, 4, 4096, 0.25, 8192
+SAMPLE, TREES, LEAF, SPILL, BLOCK_ROWS = 16_384, 8, 1024, 0.12, 8192
+#: Levels whose nodes have directions and thresholds of their own; nodes further down take those of the node with equal lower bits.
+TABLE_LEVELS = 12
 _DEPTH_BITS = 40  # a leaf's number: tree above these bits, path below
 
 
 class Forest:
-    """Directions and thresholds of some trees over vectors of one length."""
+    """Thresholds and margins of some trees over vectors of one length; directions come from the seed."""
 
     def __init__(self, sample: np.ndarray, rows: int, trees: int = TREES, leaf: int = LEAF, spill: float = SPILL, seed: int = 7):
-        rng = np.random.default_rng(seed)
-        self.trees = trees
+        self.trees, self.seed, self.dim = trees, seed, sample.shape[1] if len(sample) else 0
         self.depth = int(max(0, np.ceil(np.log2(max(rows, 1) / leaf)))) if len(sample) else 0
-        dim = sample.shape[1] if len(sample) else 0
-        self.directions = rng.standard_normal((trees, self.depth, dim))
-        self.directions /= np.maximum(np.linalg.norm(self.directions, axis=2, keepdims=True), 1e-12)
         self.margins = np.zeros((trees, self.depth))
         self.thresholds: list[list[np.ndarray]] = []
         for t in range(trees):
             node = np.zeros(len(sample), np.int64)
             levels = []
             for d in range(self.depth):
-                p = sample @ self.directions[t, d]
+                p = self.project(sample, t, d, node)
                 self.margins[t, d] = spill * p.std()
-                cut = np.full(1 << min(d, 12), np.median(p))
-                order = np.lexsort((p, node))
-                nodes, at, n = np.unique(node[order], return_index=True, return_counts=True)
+                cut = np.full(1 << min(d, TABLE_LEVELS), np.median(p))
+                own = node & (len(cut) - 1)
+                order = np.lexsort((p, own))
+                nodes, at, n = np.unique(own[order], return_index=True, return_counts=True)
                 for v, a, c in zip(nodes, at, n, strict=True):
-                    if c >= 32 and d <= 12:
+                    if c >= 32:
                         cut[v] = np.median(p[order[a : a + c]])
                 levels.append(cut)
-                node = node * 2 + (p >= cut[node & (len(cut) - 1)]) if d < 12 else node
+                node = node * 2 + (p >= cut[own])
             self.thresholds.append(levels)
 
+    def project(self, x: np.ndarray, tree: int, level: int, node: np.ndarray) -> np.ndarray:
+        """Each vector's projection on its node's direction."""
+        n = 1 << min(level, TABLE_LEVELS)
+        directions = _directions(self.seed, tree, level, n, self.dim)
+        own = node & (n - 1)
+        order = np.argsort(own, kind="stable")
+        cuts = np.flatnonzero(np.diff(own[order])) + 1
+        out = np.empty(len(x))
+        for part in np.split(order, cuts) if len(x) else ():
+            out[part] = x[part] @ directions[own[part[0]]]
+        return out
+
     def leaves(self, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(row, leaf) of every vector's leaves in all trees."""
         rows, leaves = [], []
         for t in range(self.trees if self.depth else 1):
             row, node = np.arange(len(x)), np.zeros(len(x), np.int64)
             for d in range(self.depth):
-                p = (x @ self.directions[t, d])[row]
                 cut = self.thresholds[t][d]
+                p = self.project(x[row], t, d, node)
                 edge = cut[node & (len(cut) - 1)]
                 low, high = p < edge + self.margins[t, d], p >= edge - self.margins[t, d]
                 row, node = np.concatenate([row[low], row[high]]), np.concatenate([node[low] * 2, node[high] * 2 + 1])
@@ -77,6 +90,12 @@ class Forest:
         return np.concatenate(rows), np.concatenate(leaves)
 
 
+@functools.lru_cache(maxsize=512)
+def _directions(seed: int, tree: int, level: int, n: int, dim: int) -> np.ndarray:
+    x = np.random.default_rng((seed, tree, level)).standard_normal((n, dim))
+    return x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-12)
+
+
 def usable(embedding: str = "embedding"):
     """Whether a vector is there, not zero, and all its components are finite."""
     e = F.col(embedding)
