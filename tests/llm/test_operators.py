@@ -296,13 +296,94 @@ def test_forest(spark):
     assert got[905]["component_id"] == got[906]["component_id"] == 905
 
 
+def planted(n, dim, least, seed=11):
+    """n random unit vectors; every fourth is followed by one at a cosine just over `least` to it."""
+    rng = np.random.default_rng(seed)
+    x = rng.standard_normal((n, dim))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    at = np.arange(0, n - 1, 4)
+    side = rng.standard_normal((len(at), dim))
+    side -= (side * x[at]).sum(axis=1, keepdims=True) * x[at]
+    side /= np.linalg.norm(side, axis=1, keepdims=True)
+    cosine = rng.uniform(least + 1e-4, 1, (len(at), 1))
+    x[at + 1] = cosine * x[at] + np.sqrt(1 - cosine**2) * side
+    return x, at
+
+
+def test_forest_recall_below_the_root(spark):
+    """Production parameters on enough vectors for five levels: planted pairs against brute force."""
+    x, at = planted(24_000, 64, 0.98)
+    table = pa.table({"vec_id": pa.array(np.arange(len(x))), "embedding": pa.array(list(x), pa.list_(pa.float64())), "label": pa.array(np.zeros(len(x), np.int32))})
+    assert forest.Forest(x[:: 2], len(x)).depth == 5
+    got = forest.near_duplicates(spark.createDataFrame(table)).where("n_links > 0").toArrow().to_pylist()
+    links = 0
+    for a in range(0, len(x), 2000):
+        links += int((x[a : a + 2000] @ x.T >= 0.98).sum()) - len(x[a : a + 2000])
+    found = sum(r["n_links"] for r in got)
+    assert links >= 2 * len(at) and 0.99 * links <= found <= links
+    assert sum(r["component_id"] != r["vec_id"] for r in got) >= 0.99 * len(at)
+
+
 def test_kdtree(spark):
     rng = np.random.default_rng(8)
     x = rng.integers(-20, 20, (700, 6)) / 16
-    rows = [(i, x[i].tolist()) for i in range(700)] + [(800, None), (850, [float("inf")] * 6)]
+    x[600:] = x[3]  # many equal vectors: ties, and a region that needs several shards
+    other = rng.integers(-20, 20, (60, 3)) / 16
+    rows = [(i, x[i].tolist()) for i in range(700)] + [(800, None), (850, [float("inf")] * 6), (None, [1.0] * 6)] + [(1000 + i, other[i].tolist()) for i in range(60)] + [(2000, [])]
     v = kdtree.integer_vectors(spark.createDataFrame(rows, "vec_id bigint, embedding array<float>"))
-    got = kdtree.exact_top_k(v, v.where("vec_id % 50 = 0"), shard=200, block=5).collect()
-    q = np.floor(256 * x.astype(np.float32).astype(np.float64)).astype(int)
-    for i in range(0, 700, 50):
-        want = sorted((-int(q[i] @ q[j]), j) for j in range(700) if j != i)[:5]
-        assert [(-r["score"], r["vec_id"]) for r in sorted((r for r in got if r["query_id"] == i), key=lambda r: r["rank"])] == want
+    for shard, block in ((60, 3), (10_000, 10_000)):
+        got = {}
+        for r in kdtree.exact_top_k(v, v.where("vec_id % 50 = 0"), shard=shard, block=block).collect():
+            got.setdefault(r["query_id"], []).append((r["rank"], -r["score"], r["vec_id"]))
+        assert set(got) == {*range(0, 700, 50), 1000, 1050}
+        for first, y in ((0, x), (1000, other)):
+            q = np.floor(256 * y.astype(np.float32).astype(np.float64)).astype(int)
+            for i in range(0, len(y), 50):
+                want = sorted((-int(q[i] @ q[j]), first + j) for j in range(len(y)) if j != i)[:5]
+                assert [r[1:] for r in sorted(got[first + i])] == want
+
+
+def test_kdtree_prunes():
+    """Far clusters: most boxes' bounds stay below the kth score, so queries never travel there."""
+    rng = np.random.default_rng(3)
+    corners = np.array([[1000 * (1 if c >> i & 1 else -1) for i in range(3)] + [0] * 5 for c in range(8)])
+    x = np.concatenate([corners[c] + rng.integers(-5, 5, (200, 8)) for c in range(8)])
+    regions = kdtree.Regions(x.astype(float), len(x), 200)
+    where = regions.of(x.astype(float))
+    assert regions.count == 8 and np.bincount(where).max() <= 400
+    low, high = (np.array([f(x[where == r], axis=0) for r in range(8)]).astype(float) for f in (np.min, np.max))
+    q = x[::50].astype(float)
+    kth = np.sort(q @ x.T, axis=1)[:, -6]
+    reached = kdtree.bounds(q, low, high) >= kth[:, None]
+    assert reached.any(axis=1).all() and reached.sum(axis=1).mean() < 3
+
+
+WARC_ROWS = [(None, "u", "x"), (1, "u", "x"), (2, "u", "x"), (2, "u", "other"), (3, "u", "x"), (3, "u", "x"), (4, None, None), (None, None, None)]
+
+
+def test_warc_nulls_and_repeated_ids(spark):
+    pages = spark.createDataFrame(WARC_ROWS, "page_id bigint, url string, html string")
+    records = warc.read_records(warc.normalise(warc.write_archives(warc.choose_records(pages), archive_bytes=2)))
+    got = sorted(((r["page_id"], bytes(r["payload"]).decode(), r["record_type"], r["refers_to"]) for r in records.collect()), key=str)
+    want = [(None, "x", "response", None), (1, "", "revisit", 3), (2, "", "revisit", 3), (2, "other", "response", None), (3, "x", "response", None), (3, "x", "response", None), (4, "", "response", None), (None, "", "response", None)]
+    assert got == sorted(want, key=str)
+
+
+def test_warc_archives_are_bounded(spark):
+    pages = spark.createDataFrame([(i, "u", "y" * 999 + str(i)) for i in range(300)], "page_id bigint, url string, html string")
+    sizes = [len(zlib.decompress(bytes(r["content"]), 31)) for r in warc.write_archives(warc.choose_records(pages), 10_000).collect()]
+    assert len(sizes) >= 30 and max(sizes) < 20_000
+
+
+def test_cut_streams_raise():
+    records = [warc.record_bytes(i, "u", b"z" * 500, "D", None, None) for i in range(20)]
+    stream = zlib.compressobj(6, zlib.DEFLATED, 31)
+    parts = [stream.compress(b"".join(records[:10])) + stream.flush(zlib.Z_FULL_FLUSH), stream.compress(b"".join(records[10:])) + stream.flush()]
+    assert len(warc.normalise_stream(b"".join(parts))[1]) == 20
+    for cut in (parts[0], b"".join(parts)[:-3], parts[0][:-20]):
+        with pytest.raises(ValueError):
+            warc.normalise_stream(cut)
+    big = zlib.compressobj(9, zlib.DEFLATED, 31)
+    bomb = big.compress(b"".join(records) * 400) + big.flush()
+    assert len(warc.normalise_stream(bomb, 1 << 12)[1]) == 8000
+    assert warc.normalise_stream(b"") == (b"", [])
