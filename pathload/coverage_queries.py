@@ -7,7 +7,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window, functions as F
 
 from pathload.functions import oracle as o
-from pathload.sources.tables import graph_of, load, of_all_rows
+from pathload.sources.tables import graph_of, load
 from pathload.streaming import updates as st
 
 
@@ -62,9 +62,9 @@ def purchases(s, d):
     return load(s, d, "events").where("event_type = 'purchase'").select("event_id", "ts", "user_id", "value", F.get_json_object("props", "$.k").cast("int").alias("k"))
 
 
-def range_lifetime(s, d, whole=False):
+def range_lifetime(s, d):
     """Edges user-topic alive at noon of each day: an edge lives three days from each purchase; days are the bins of the range join."""
-    p = purchases(s, d) if whole else purchases(s, d).where("value > 60")
+    p = purchases(s, d)
     days = p.select(F.date_trunc("day", "ts").alias("day")).distinct().select("day", (F.col("day") + F.expr("INTERVAL 12 HOURS")).alias("noon"))
     binned = p.select("user_id", "k", "ts", (F.col("ts") + F.expr("INTERVAL 3 DAYS")).alias("gone"), F.explode(F.sequence(F.lit(0), F.lit(3))).alias("i"))
     binned = binned.withColumn("day", F.expr("date_trunc('day', ts) + make_dt_interval(i)"))
@@ -155,9 +155,8 @@ def install(add) -> None:
     add("op_anti_unvisited", anti_unvisited, o.sql([*o.graph_ctes("user_pairs"), _START, _SECOND], "SELECT id FROM second"))
     add("op_semi_upper_neighbour", semi_upper, o.sql([*o.graph_ctes("user_pairs"), _START, _SECOND], "SELECT a.u AS id, count(*) AS uppers FROM arcs a JOIN second s ON s.id = a.u JOIN first f ON f.id = a.v GROUP BY a.u HAVING count(*) > 1"))
     add("op_agg_distinct_degree", lambda s, d: purchases(s, d).groupBy("k").agg(F.countDistinct("user_id").alias("users")), "SELECT regexp_extract(props, '\"k\": *([0-9]+)', 1)::INT AS k, count(DISTINCT user_id) AS users FROM events WHERE event_type = 'purchase' GROUP BY 1")
-    lifetime = "WITH p AS (SELECT user_id, regexp_extract(props, '\"k\": *([0-9]+)', 1)::INT AS k, ts FROM events WHERE event_type = 'purchase' AND value > 60), days AS (SELECT DISTINCT date_trunc('day', ts) AS day FROM p) SELECT strftime(day, '%Y-%m-%d') AS day, count(DISTINCT (user_id, k)) AS n FROM days JOIN p ON ts <= day + INTERVAL 12 HOUR AND day + INTERVAL 12 HOUR < ts + INTERVAL 3 DAY GROUP BY 1"
+    lifetime = "WITH p AS (SELECT user_id, regexp_extract(props, '\"k\": *([0-9]+)', 1)::INT AS k, ts FROM events WHERE event_type = 'purchase'), days AS (SELECT DISTINCT date_trunc('day', ts) AS day FROM p) SELECT strftime(day, '%Y-%m-%d') AS day, count(DISTINCT (user_id, k)) AS n FROM days JOIN p ON ts <= day + INTERVAL 12 HOUR AND day + INTERVAL 12 HOUR < ts + INTERVAL 3 DAY GROUP BY 1"
     add("op_range_lifetime", range_lifetime, lifetime)
-    add("op_range_lifetime_whole", lambda s, d: range_lifetime(s, d, True), of_all_rows(lifetime))
     add("op_asof_latest_edge", asof_latest, "WITH b AS (SELECT event_id, event_type, last_value(CASE WHEN event_type = 'purchase' THEN regexp_extract(props, '\"k\": *([0-9]+)', 1)::INT END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS last_k FROM events WHERE event_type IN ('purchase', 'error')) SELECT event_id, last_k FROM b WHERE event_type = 'error'")
     add("op_lag_gap", lambda s, d: purchases(s, d).select("event_id", F.timestamp_diff("SECOND", F.lag("ts").over(Window.partitionBy("user_id").orderBy("ts", "event_id")), F.col("ts")).alias("gap")), "SELECT event_id, (epoch_us(ts) - epoch_us(lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id))) // 1000000 AS gap FROM events WHERE event_type = 'purchase'")
     add("op_running_max", lambda s, d: purchases(s, d).select("event_id", F.max("value").over(Window.partitionBy("user_id").orderBy("ts", "event_id")).alias("m")), "SELECT event_id, max(value) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS m FROM events WHERE event_type = 'purchase'")
@@ -182,7 +181,6 @@ def install(add) -> None:
     from pathload.queries import ORACLES
 
     add("stream_incremental_vbc", st.incremental_query, ORACLES["inc_mixed_batch_vbc"])
-    add("stream_incremental_whole", lambda s, d: st.incremental_query(s, d, "whole_coactive"), ORACLES["inc_mixed_whole_vbc"])
     add(
         "stream_session_users",
         st.sessions,

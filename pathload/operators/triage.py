@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, functions as F
 
 FAR = 1 << 30
@@ -26,6 +27,15 @@ def classify(state: DataFrame, vertices: DataFrame, u: str, v: str, op: str) ->
     return _ends(vertices.select(F.col("id").alias("s")).join(two, "s", "left"), u, v, op)
 
 
+def classify_stored(state: DataFrame, ids, u: str, v: str, op: str) -> DataFrame:
+    """The same from the store's distance column, (s, d) with positions: two places of each row are looked at, nothing is unfolded."""
+    place = {x: i for i, x in enumerate(ids.tolist())}
+    at = lambda x: F.nullif(F.coalesce(F.try_element_at("d", F.lit(place[x] + 1)), F.lit(-1)), F.lit(-1))
+    names = state.sparkSession.createDataFrame(pa.table({"pos": pa.array(range(len(place)), pa.int64()), "s": pa.array(list(place), pa.string())}))
+    two = state.select(F.col("s").alias("pos"), at(u).alias("du"), at(v).alias("dv")).join(names, "pos").select("s", "du", "dv")
+    return _ends(two, u, v, op)
+
+
 def classify_symmetric(state: DataFrame, vertices: DataFrame, u: str, v: str, op: str) -> DataFrame:
     """The same from the two ends' own rows: distances of an undirected graph are symmetric, so two sources' rows tell all."""
     two = state.where(F.col("s").isin(u, v)).groupBy(F.col("t").alias("s")).agg(F.max(F.when(F.col("s") == u, F.col("d"))).alias("du"), F.max(F.when(F.col("s") == v, F.col("d"))).alias("dv"))

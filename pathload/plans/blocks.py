@@ -72,7 +72,7 @@ def rows_of_state(block: int, state: Block, rows: np.ndarray | None = None) -> I
         )
 
 
-def run_blocks(csr: Csr, spark, n_blocks: int, predecessors: bool = False, keep_state: bool = True, sources: np.ndarray | None = None) -> DataFrame:
+def run_blocks(csr: Csr, spark, n_blocks: int, predecessors: bool = False, keep_state: bool = True, sources: np.ndarray | None = None, kind: str = "both") -> DataFrame:
     """Rows of partial loads (kind v, e) and path state (kind s)."""
     picked = np.arange(len(csr.ids)) if sources is None else sources
     ranges = block_ranges(len(picked), n_blocks)
@@ -89,7 +89,7 @@ def run_blocks(csr: Csr, spark, n_blocks: int, predecessors: bool = False, keep_
                 step = max(1, TASK_CELLS // max(n, 1))
                 for at in range(lo, hi, step):
                     one = Block(net, all_sources[at : min(hi, at + step)], predecessors=predecessors)
-                    v, e = one.loads()
+                    v, e = one.loads(kind)
                     vertex += v
                     edge += e
                     if keep_state:
@@ -119,12 +119,20 @@ def normalized(loads: Loads, graph: Graph, how: str) -> Loads:
     return Loads(loads.vertex.withColumn("vbc", F.col("vbc") * v), loads.edge.withColumn("ebc", F.col("ebc") * e), loads.state)
 
 
-def static_betweenness(graph: Graph, plan: str = "auto", predecessors: bool = False, n_blocks: int | None = None, keep_state: bool = False, normalize: str = "none", sources: int | None = None, seed: int = 0) -> Loads:
+_NO_VERTEX = lambda spark: spark.createDataFrame([], "id string, vbc double")
+_NO_EDGE = lambda spark: spark.createDataFrame([], "src string, dst string, ebc double")
+
+
+def static_betweenness(graph: Graph, plan: str = "auto", predecessors: bool = False, n_blocks: int | None = None, keep_state: bool = False, normalize: str = "none", kind: str = "both", sources: int | None = None, seed: int = 0) -> Loads:
     """Vertex and edge loads from scratch.
 
-    plan: 'block', 'level', or 'auto' by the graph's counted size. sources: a number
-    of sampled sources, with loads scaled to all; None is exact.
+    plan: 'block', 'level', or 'auto' by the graph's counted size. kind: 'both',
+    'vertex' or 'edge'; the loads that are not asked for are neither added up nor
+    shuffled, their frame is empty. sources: a number of sampled sources, with loads
+    scaled to all; None is exact.
     """
+    if kind not in ("both", "vertex", "edge"):
+        raise ValueError(f"no such kind of load: {kind}")
     spark = graph.spark
     graph = Graph(cut_lineage(graph.edges), graph.directed, None if graph.extra is None else cut_lineage(graph.extra))
     if plan == "auto":
@@ -134,12 +142,13 @@ def static_betweenness(graph: Graph, plan: str = "auto", predecessors: bool = Fa
         picked = graph.vertices.orderBy(F.md5(F.concat_ws(":", "id", F.lit(seed))), "id").limit(sources)
     if plan == "level":
         state = level.dependency_state(level.shortest_path_state(graph, picked), graph)
-        loads = Loads(level.vertex_load(state, graph.vertices), level.edge_load(state, graph), state)
+        loads = Loads(level.vertex_load(state, graph.vertices) if kind != "edge" else _NO_VERTEX(spark), level.edge_load(state, graph) if kind != "vertex" else _NO_EDGE(spark), state)
     else:
         csr = to_csr(graph, None)
         chosen = None if picked is None else np.array(sorted(csr.position(r[0]) for r in picked.collect()), np.int64)
         parts = n_blocks or max(spark.sparkContext.defaultParallelism, -(-len(csr.ids) // 1000))
-        loads = sum_loads(cut_lineage(run_blocks(csr, spark, parts, predecessors, keep_state, chosen)), graph)
+        loads = sum_loads(cut_lineage(run_blocks(csr, spark, parts, predecessors, keep_state, chosen, kind)), graph)
+        loads = Loads(loads.vertex if kind != "edge" else _NO_VERTEX(spark), loads.edge if kind != "vertex" else _NO_EDGE(spark), loads.state)
     if sources is not None:
         scale = graph.vertices.count() / max(1, min(sources, graph.vertices.count()))
         loads = Loads(loads.vertex.withColumn("vbc", F.col("vbc") * scale), loads.edge.withColumn("ebc", F.col("ebc") * scale), loads.state)

@@ -160,12 +160,18 @@ class Block:
         low, up = low[use], up[use]
         return edge[use], low // n, sigma[up] / sigma[low] * (1 + delta[low])
 
-    def loads(self) -> tuple[np.ndarray, np.ndarray]:
-        """This block's part of the vertex loads and edge loads."""
-        own = self.delta.copy()
-        own[np.arange(len(self.sources)), self.sources] = 0
-        edge, _, flow = self.flows()
-        return own.sum(axis=0), np.bincount(edge, flow, len(self.net.src))
+    def loads(self, kind: str = "both") -> tuple[np.ndarray, np.ndarray]:
+        """This block's part of the vertex loads and edge loads; zeros for those that kind leaves out."""
+        vertex, edges = np.zeros(self.net.n), np.zeros(len(self.net.src))
+        if kind != "edge":
+            at = np.arange(len(self.sources)), self.sources
+            own, self.delta[at] = self.delta[at], 0
+            vertex = self.delta.sum(axis=0)
+            self.delta[at] = own
+        if kind != "vertex":
+            edge, _, flow = self.flows()
+            edges = np.bincount(edge, flow, len(self.net.src))
+        return vertex, edges
 
     # -- updates ----------------------------------------------------------------
 

@@ -12,29 +12,32 @@ from pathload.sources.tables import UPDATE_SCHEMA, load
 
 
 class UpdateSink:
-    """foreachBatch target: applies each micro-batch in order of seq, once, and keeps the session.
+    """foreachBatch target: applies each micro-batch in order of seq, once, and commits it to the session's store.
 
-    A batch that comes again after a failure has an id that was applied already and is skipped.
+    The store's manifest holds each batch's number and where its arrays are, so a sink
+    made anew over the same store goes on from the last whole batch: one that comes again
+    is skipped, and one that died before its manifest was written is applied again.
     """
 
     def __init__(self, session: Session, done: Callable[[Session, int], None] | None = None):
-        self.session, self.last, self.done = session, -1, done
+        there = Session.resume(session.spark, session.store.path, session.strategy)
+        self.session, self.last = there if there and there[1] >= 0 else (session, -1)
+        self.done = done
 
     def __call__(self, batch: DataFrame, batch_id: int) -> None:
         if batch_id <= self.last:
             return
         work = updates_from(batch.dropDuplicates(["seq"]))
-        if work:
-            fresh = {x for w in work if w.op == "add" for x in (w.u, w.v)} - set(self.session.csr.ids.tolist())
-            self.session = self.session.apply(work, tuple(sorted(fresh)))
+        fresh = {x for w in work if w.op == "add" for x in (w.u, w.v)} - (set(self.session.csr.ids.tolist()) - self.session.dead)
+        self.session = self.session.apply(work, tuple(sorted(fresh)), batch_id)
         self.last = batch_id
         if self.done:
             self.done(self.session, batch_id)
 
 
-def run_update_stream(stream: DataFrame, session: Session, checkpoint: str | None = None, watermark: str = "1 hour", trigger: dict | None = None) -> Session:
+def run_update_stream(stream: DataFrame, session: Session, checkpoint: str | None = None, watermark: str = "1 hour", trigger: dict | None = None, done: Callable[[Session, int], None] | None = None) -> Session:
     """Consumes a stream of (seq, ts, op, u, v) and returns the session after what is there."""
-    sink = UpdateSink(session)
+    sink = UpdateSink(session, done)
     clean = stream.withWatermark("ts", watermark).dropDuplicatesWithinWatermark(["seq"])
     writer = clean.writeStream.foreachBatch(sink).option("checkpointLocation", checkpoint or shared_folder(stream.sparkSession))
     query = writer.trigger(**(trigger or {"availableNow": True})).start()
@@ -77,7 +80,7 @@ def sessions(s: SparkSession, d: str) -> DataFrame:
     return drained(counts, "complete").select("user_id", "w.start", "n")
 
 
-def incremental_query(s: SparkSession, d: str, name: str = "coactive") -> DataFrame:
+def incremental_query(s: SparkSession, d: str, name: str = "user_pairs") -> DataFrame:
     """Mixed updates through a stream of files give the loads of one batch."""
     from pathload.queries import held, mixed_updates
 
