@@ -32,8 +32,8 @@ from pyspark.sql import DataFrame, functions as F
 from pathload.llm.common import U64, bucket_of, free_name, least_in_window, mix64, opened, packed, size_groups, squeezed, text_buffer, trim, unpacked
 
 BUCKET, SOURCE, BLOCK, MARKS = "bucket", "source", "block", "marks"
-#: Cells of one row of the sketch in an owner's range, and from how many occurrences an anchor's windows are split further.
-WIDTH, CROWDED = 1 << 20, 8192
+#: Cells of one row of the sketch in an owner's range, cells of a row for each anchor by the input's size, and from how many occurrences an anchor's windows are split further.
+WIDTH, ROOM, CROWDED = 1 << 22, 16, 8192
 CELL = np.dtype([("cell", "<u4")])  # cell above eight bits of count
 INTERVAL = np.dtype([("row", "<u4"), ("start", "<u4"), ("end", "<u4")])
 _PLACE = U64((1 << 28) - 1)
@@ -140,7 +140,7 @@ def without_repeats(docs: DataFrame, kind: Repeats, key: str = "doc_id", text: s
     """
     docs = docs.select(key, text, *carry)
     parts, owners = size_groups(docs, 2 << 20), size_groups(docs, 1 << 20)
-    ranges = size_groups(docs, kind.spacing * WIDTH // 4)
+    ranges = size_groups(docs, kind.spacing * WIDTH // ROOM)
     part = free_name("part", docs.columns)
     results = [free_name(x, (key, *carry)) for x in ("kept", "n_units", "n_removed", "spans")]
     dealt = docs.withColumn(part, F.pmod(F.xxhash64(key, text), F.lit(parts)).cast("int"))
