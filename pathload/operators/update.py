@@ -50,12 +50,13 @@ class Session:
     strategy: str = "uniform"
     predecessors: bool = False
     dead: frozenset = frozenset()  # vertices that went; their positions stay
+    ops: tuple[str, ...] = ("add", "remove")  # a restricted method takes additions alone
     counts: dict = field(default_factory=dict)
     rejected: list[tuple[Update, str]] = field(default_factory=list)
     read_rows: int = 0  # sources whose whole rows the last batch read
 
     @staticmethod
-    def start(graph: Graph, n_blocks: int | None = None, strategy: str = "uniform", predecessors: bool = False, path: str | None = None) -> Session:
+    def start(graph: Graph, n_blocks: int | None = None, strategy: str = "uniform", predecessors: bool = False, path: str | None = None, ops: tuple[str, ...] = ("add", "remove")) -> Session:
         """Offline step: loads and state by a static run. path: of the store, a fresh folder by default."""
         spark = graph.spark
         graph = Graph(cut_lineage(graph.edges), graph.directed, cut_lineage(graph.vertices))
@@ -72,7 +73,7 @@ class Session:
             else:
                 ebc[edge[place[r["a"]], place[r["b"]]]] = r["part"]
         store.seal(version)
-        return Session(spark, csr, vbc, ebc, store, (version,), parts, strategy, predecessors)
+        return Session(spark, csr, vbc, ebc, store, (version,), parts, strategy, predecessors, ops=ops)
 
     # -- what it holds, as frames -------------------------------------------------
 
@@ -113,7 +114,7 @@ class Session:
         good, bad = [], []
         for x in updates:
             e = key(x.u, x.v)
-            why = "loop" if x.u == x.v else "unknown operation" if x.op not in ("add", "remove") else ""
+            why = "loop" if x.u == x.v else "unknown operation" if x.op not in self.ops else ""
             why = why or ("edge exists" if x.op == "add" and e in there else "no such edge" if x.op == "remove" and e not in there else "")
             why = why or ("unknown vertex" if not {x.u, x.v} <= known else "")
             if why:

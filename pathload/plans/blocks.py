@@ -155,6 +155,17 @@ def static_betweenness(graph: Graph, plan: str = "auto", predecessors: bool = Fa
     return normalized(loads, graph, normalize)
 
 
+def sampled_betweenness(graph: Graph, sources: int, seed: int = 0) -> DataFrame:
+    """(id, vbc, error): the estimate from sampled sources scaled to all, and its standard error from the spread of the sources' parts."""
+    n = graph.vertices.count()
+    k = min(sources, n)
+    state = static_betweenness(graph, "level", sources=sources, seed=seed).state
+    part = state.where("s <> t").groupBy(F.col("t").alias("id")).agg(F.sum("delta").alias("x"), F.sum(F.col("delta") * F.col("delta")).alias("xx"))
+    both = graph.vertices.join(part, "id", "left").select("id", F.coalesce("x", F.lit(0.0)).alias("x"), F.coalesce("xx", F.lit(0.0)).alias("xx"))
+    spread = F.greatest((F.col("xx") - F.col("x") * F.col("x") / k) / max(1, k - 1), F.lit(0.0))
+    return both.select("id", (F.col("x") * (n / max(1, k))).alias("vbc"), (n * F.sqrt(spread / max(1, k) * (1 - k / max(1, n)))).alias("error"))
+
+
 def long_state(state: DataFrame, ids: list[str]) -> DataFrame:
     """(s, t, d, sigma, delta) with ids, from packed rows; unreachable pairs are absent."""
     spark = state.sparkSession

@@ -90,12 +90,15 @@ class Block:
     def __init__(self, net: Net, sources: np.ndarray, state: tuple[np.ndarray, np.ndarray, np.ndarray] | None = None, predecessors: bool = False):
         self.net, self.sources = net, np.asarray(sources, np.int64)
         self.predecessors = [] if predecessors else None
+        self.lists = None
         self.arcs_read = 0
         if state is None:
             self.search()
             self.accumulate()
         else:
             self.d, self.sigma, self.delta = (self._wide(x, f) for x, f in zip(state, (-1, 0.0, 0.0), strict=True))
+        if predecessors:
+            self.lists = self._path_arcs()
 
     def _wide(self, x: np.ndarray, fill) -> np.ndarray:
         """Rows stored before vertices came: the missing tail is unreachable."""
@@ -145,20 +148,36 @@ class Block:
             np.add.at(delta, up, sigma[up] / sigma[low] * (1 + delta[low]))
 
     def state_bytes(self) -> int:
-        lists = sum(8 * len(x) for x, _ in self.predecessors) if self.predecessors is not None else 0
-        return self.d.size * 18 + lists
+        lists = sum(8 * len(x) for x in self.lists) if self.lists is not None else 0
+        return self.d.size * 20 + lists
 
-    def flows(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """(edge, source row, flow) of every arc of every source's path graph."""
-        n = self.net.n
-        d, sigma, delta = self.d.reshape(-1), self.sigma.reshape(-1), self.delta.reshape(-1)
+    def _path_arcs(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(lower key, upper key, edge) of every arc of every source's path graph: the predecessor lists."""
+        n, d = self.net.n, self.d.reshape(-1)
         low = np.flatnonzero(d > 0)
         which, to, edge = Net.expand(self.net.into, low % n)
+        self.arcs_read += len(to)
         low = low[which]
         up = low - low % n + to
         use = d[up] == d[low] - 1
-        low, up = low[use], up[use]
-        return edge[use], low // n, sigma[up] / sigma[low] * (1 + delta[low])
+        return low[use], up[use], edge[use]
+
+    def _relist(self, rows: np.ndarray, work: Block) -> None:
+        """The lists of some rows made anew, as their sources were touched; all keys move if vertices came."""
+        n = self.net.n
+        touched = np.zeros(len(self.sources), bool)
+        touched[rows] = True
+        low, up, edge = self.lists
+        stay = ~touched[low // n]
+        l2, u2, e2 = work._path_arcs()
+        shift = (rows - np.arange(len(rows))) * n
+        self.lists = np.concatenate([low[stay], l2 + shift[l2 // n]]), np.concatenate([up[stay], u2 + shift[u2 // n]]), np.concatenate([edge[stay], e2])
+
+    def flows(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(edge, source row, flow) of every arc of every source's path graph."""
+        sigma, delta = self.sigma.reshape(-1), self.delta.reshape(-1)
+        low, up, edge = self.lists if self.lists is not None else self._path_arcs()
+        return edge, low // self.net.n, sigma[up] / sigma[low] * (1 + delta[low])
 
     def loads(self, kind: str = "both") -> tuple[np.ndarray, np.ndarray]:
         """This block's part of the vertex loads and edge loads; zeros for those that kind leaves out."""
@@ -204,7 +223,7 @@ class Block:
             return {"vertex": vertex, "edge": edges, "edge_id": edge, "cases": Counter(cases.tolist()), "case": cases, "touched": 0, "rows": rows}
         d0, s0, t0 = self.d[rows].copy(), self.sigma[rows].copy(), self.delta[rows].copy()
         work = Block.__new__(Block)
-        work.net, work.sources, work.predecessors, work.arcs_read = net, self.sources[rows], None, 0
+        work.net, work.sources, work.predecessors, work.lists, work.arcs_read = net, self.sources[rows], None, None, 0
         work.d, work.sigma, work.delta = d0.copy(), s0.copy(), t0.copy()
         base = np.arange(len(rows)) * n
         farthest, nearest = base + far[rows], base + near[rows]
@@ -228,6 +247,8 @@ class Block:
         vertex += gain.sum(axis=0)
         edges += work._flow_difference(d0, s0, t0, changed.reshape(-1), edge, op)
         self.d[rows], self.sigma[rows], self.delta[rows] = work.d, work.sigma, work.delta
+        if self.lists is not None:
+            self._relist(rows, work)
         return {"vertex": vertex, "edge": edges, "edge_id": edge, "cases": Counter(cases.tolist()), "case": cases, "touched": int(touched), "rows": rows, "arcs": work.arcs_read}
 
     def _rise(self, far: np.ndarray, near: np.ndarray) -> np.ndarray:
@@ -468,5 +489,7 @@ class Block:
 
 def grown(block: Block, n: int) -> None:
     """A block after vertices came: unreachable until edges reach them."""
+    if block.lists is not None:
+        raise ValueError("lists are kept for a fixed number of vertices")
     block.net.grow(n)
     block.d, block.sigma, block.delta = (block._wide(x, f) for x, f in ((block.d, -1), (block.sigma, 0.0), (block.delta, 0.0)))

@@ -123,6 +123,7 @@ add("static_vbc_directed_level", static_vbc("coactive_directed", plan="level"),
 for _n in ("supply", "part_supp"):
     add(f"static_vbc_{_n}", static_vbc(_n))
     add(f"static_ebc_{_n}", static_ebc(_n))
+add("static_vbc_users", static_vbc("user_pairs"), o.vbc("user_pairs"))
 add("static_vbc_disconnected", static_vbc("chat_chains"), o.vbc("chat_chains"))
 add("static_ebc_disconnected", static_ebc("chat_chains"), o.ebc("chat_chains"))
 add("static_vbc_only", static_vbc("user_topic", plan="block", kind="vertex"), o.vbc("user_topic"))
@@ -617,7 +618,8 @@ add("community_hierarchy", division("incremental", "hierarchy"))
 
 def register_all() -> tuple[dict[str, Query], dict[str, str]]:
     """All queries and SQL, those of the surrounding operators and streams included."""
-    from pathload import coverage_queries
+    from pathload import coverage_queries, experiment_queries
 
     coverage_queries.install(add)
+    experiment_queries.install(add)
     return QUERIES, ORACLES

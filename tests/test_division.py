@@ -69,7 +69,7 @@ def test_registered_division_has_no_step_limit(spark, monkeypatch):
         raise StopIteration
 
     monkeypatch.setattr(community, "divisive", noted)
-    for name in ("steps_whole", "steps_recompute_whole", "components", "modularity", "hierarchy"):
+    for name in ("steps", "steps_recompute", "components", "modularity", "hierarchy"):
         try:
             register_all()[0][f"community_{name}"](spark, test_whole.TINY)
         except StopIteration:
