@@ -291,10 +291,10 @@ def mixed_updates(spark: SparkSession, graph: g.Graph, k: int = 10) -> list[Upda
     return [Update(x.op, x.u, x.v, i + 1) for i, x in enumerate(both)]
 
 
-def mixed_run(name: str, what: str, strategy: str = "uniform", blocks: int = 4) -> Query:
+def mixed_run(name: str, what: str, strategy: str = "uniform", blocks: int = 4, k: int = 10) -> Query:
     def run(s, d):
         graph = held(s, d, name)
-        session = Session.start(graph, blocks, strategy).apply(mixed_updates(s, graph))
+        session = Session.start(graph, blocks, strategy).apply(mixed_updates(s, graph, k))
         return session.loads.vertex.select("id", r6("vbc")) if what == "vbc" else session.loads.edge.select("src", "dst", r6("ebc"))
 
     return run
@@ -313,7 +313,7 @@ add("inc_mixed_one_block", *mixed("coactive", "vbc", blocks=1))
 add("inc_directed_batch", *mixed("user_pairs_directed", "vbc"))
 add("inc_directed_batch_ebc", *mixed("coactive_directed", "ebc"))
 for _n in ("supply", "part_supp"):
-    add(f"inc_mixed_{_n}", mixed_run(_n, "vbc", blocks=8))
+    add(f"inc_mixed_{_n}", mixed_run(_n, "vbc", "cases", blocks=16, k=2))
 
 
 def state_after(s, d):

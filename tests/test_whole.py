@@ -57,7 +57,7 @@ def test_supply_of_all_rows(spark):
     vertex, _ = brute_loads(pairs)
     same({r["id"]: r["vbc"] for r in queries["static_vbc_supply"](spark, TINY).collect()}, vertex)
     now = set(pairs)
-    for x in mixed_updates(spark, graph_of(spark, TINY, "supply")):
+    for x in mixed_updates(spark, graph_of(spark, TINY, "supply"), 2):
         (now.add if x.op == "add" else now.discard)(tuple(sorted((x.u, x.v))))
     after, _ = brute_loads(now)
     same({r["id"]: r["vbc"] for r in queries["inc_mixed_supply"](spark, TINY).collect()}, after)
