@@ -47,7 +47,7 @@ class Session:
     store: StateStore
     lineage: tuple[int, ...]
     n_blocks: int
-    strategy: str = "uniform"
+    strategy: str = "cases"
     predecessors: bool = False
     dead: frozenset = frozenset()  # vertices that went; their positions stay
     ops: tuple[str, ...] = ("add", "remove")  # a restricted method takes additions alone
@@ -56,7 +56,7 @@ class Session:
     read_rows: int = 0  # sources whose whole rows the last batch read
 
     @staticmethod
-    def start(graph: Graph, n_blocks: int | None = None, strategy: str = "uniform", predecessors: bool = False, path: str | None = None, ops: tuple[str, ...] = ("add", "remove")) -> Session:
+    def start(graph: Graph, n_blocks: int | None = None, strategy: str = "cases", predecessors: bool = False, path: str | None = None, ops: tuple[str, ...] = ("add", "remove")) -> Session:
         """Offline step: loads and state by a static run. path: of the store, a fresh folder by default."""
         spark = graph.spark
         graph = Graph(cut_lineage(graph.edges), graph.directed, cut_lineage(graph.vertices))
@@ -251,7 +251,7 @@ class Session:
         return to
 
     @staticmethod
-    def resume(spark: SparkSession, path: str, strategy: str = "uniform") -> tuple[Session, int] | None:
+    def resume(spark: SparkSession, path: str, strategy: str = "cases") -> tuple[Session, int] | None:
         """The session of the store's last whole batch, and that batch's number; None where no batch was committed."""
         store = StateStore(spark, path)
         if not store.versions():

@@ -10,7 +10,7 @@ then dependencies upward, and returns load differences.
 Repairs come in two strategies with equal results: `uniform` rebuilds what is dirty;
 `cases` takes the way that the case allows (additive counts where no distance moved,
 a fixed step of one where a sibling holds the far end up, plain removal where a part
-comes loose).
+comes loose, and dependencies by differences of flows where a vertex keeps its place).
 """
 
 from __future__ import annotations
@@ -240,12 +240,16 @@ class Block:
             work._recount(d0, moved, farthest[~flat])
         else:
             work._recount(d0, moved, farthest)
-        touched = work._redepend(d0, s0, t0, moved, nearest, farthest, (old_out, old_into))
-        changed = (work.d != d0) | (work.sigma != s0) | (work.delta != t0)
+        if strategy == "cases":
+            touched, gained = work._move_dependencies(d0, s0, t0, nearest, farthest, (old_out, old_into), edge, op)
+        else:
+            touched = work._redepend(d0, s0, t0, moved, nearest, farthest, (old_out, old_into))
+            changed = (work.d != d0) | (work.sigma != s0) | (work.delta != t0)
+            gained = work._flow_difference(d0, s0, t0, changed.reshape(-1), edge, op)
+        edges += gained
         gain = work.delta - t0
         gain[np.arange(len(rows)), work.sources] = 0
         vertex += gain.sum(axis=0)
-        edges += work._flow_difference(d0, s0, t0, changed.reshape(-1), edge, op)
         self.d[rows], self.sigma[rows], self.delta[rows] = work.d, work.sigma, work.delta
         if self.lists is not None:
             self._relist(rows, work)
@@ -316,13 +320,15 @@ class Block:
         which, to, _ = Net.expand(self.net.into, far % n)
         other = (far - far % n)[which] + to
         sibling = np.bincount(which, (d[other] == d[far[which]]), len(far)) > 0
-        anchors = self.find_anchors(orphans)
+        # A sibling keeps its distance, so it holds the far end one step lower and all orphans with it: no search for anchors.
+        by_one = lost & sibling & (not self.net.directed)
+        one = by_one[row]
         held = np.zeros(len(far), bool)
-        held[np.unique(anchors // n)] = True
-        kind[lost] = np.where(~held[lost], "detach", np.where(sibling[lost] & (not self.net.directed), "drop_one", "drop"))
-        one = np.isin(row, np.flatnonzero(kind == "drop_one"))
+        if not one.all():
+            held[np.unique(self.find_anchors(orphans[~one]) // n)] = True
+        kind[lost] = np.where(by_one, "drop_one", np.where(held, "drop", "detach"))[lost]
         if strategy == "cases":
-            loose = np.isin(row, np.flatnonzero(kind == "detach"))
+            loose = (lost & ~by_one & ~held)[row]
             d[orphans[one]] += 1
             d[orphans[loose]] = -1
             self._settle(orphans[~one & ~loose])
@@ -446,6 +452,90 @@ class Block:
             level -= 1
         return seen
 
+    def _move_dependencies(self, d0, s0, t0, near, far, old, edge: int, op: str) -> tuple[int, np.ndarray]:
+        """Dependencies by differences of flows: (keys looked at, edge load differences).
+
+        Where neither distance nor count changed, a vertex starts from its old
+        dependency and gets, for each lower vertex whose flow is another, the new flow
+        less the old one; the other lower vertices are never read. Where one of them
+        changed, it is added up anew. What a moved vertex gave to its former upper
+        neighbours is taken back first, as its new level may lie on either side of
+        theirs. The same differences are those of the edges' loads.
+        """
+        n, net = self.net.n, self.net
+        d, sigma, delta = self.d.reshape(-1), self.sigma.reshape(-1), self.delta.reshape(-1)
+        bd, bs, bt = d0.reshape(-1), s0.reshape(-1), t0.reshape(-1)
+        out = np.zeros(len(net.src))
+        other = (d != bd) | (sigma != bs)
+        changed = np.flatnonzero(other)
+        parts = [changed, far]
+        for lists, at in ((old[0], bd), (net.out, d)):  # arcs below a changed vertex carry something else
+            which, to, _ = Net.expand(lists, changed % n)
+            self.arcs_read += len(to)
+            x = changed[which]
+            low = x - x % n + to
+            parts.append(low[(at[x] >= 0) & (at[low] == at[x] + 1)])
+        todo = np.unique(np.concatenate(parts))
+
+        def give(up: np.ndarray, e: np.ndarray, amount: np.ndarray) -> np.ndarray:
+            """Adds flows to edges and to upper vertices that are not added up anew; returns those."""
+            nonlocal out
+            out += np.bincount(e, amount, len(out))
+            use = ~other[up] & (amount != 0)
+            np.add.at(delta, up[use], amount[use])
+            return up[use]
+
+        moved = todo[(d[todo] != bd[todo]) & (bd[todo] > 0)]
+        which, to, e = Net.expand(old[1], moved % n)
+        self.arcs_read += len(to)
+        low = moved[which]
+        up = low - low % n + to
+        use = (bd[up] >= 0) & (bd[up] == bd[low] - 1)
+        low, up, e = low[use], up[use], e[use]
+        lost = [give(up, e, -bs[up] / bs[low] * (1 + bt[low]))]
+        if op == "remove":  # where the far end stays, its list no longer has the arc
+            use = (d[far] == bd[far]) & (bd[far] > 0) & (bd[near] == bd[far] - 1)
+            x, y = near[use], far[use]
+            lost.append(give(x, np.full(len(x), edge), -bs[x] / bs[y] * (1 + bt[y])))
+        todo = np.unique(np.concatenate([todo, *lost]))
+        gone = todo[d[todo] < 0]
+        delta[gone] = 0
+        todo = todo[d[todo] >= 0]
+        seen = len(gone)
+        level = int(d[todo].max()) if len(todo) else -1
+        while level >= 0 and len(todo):
+            here = todo[d[todo] == level]
+            rest = todo[d[todo] < level]
+            above = np.zeros(0, np.int64)
+            if len(here):
+                seen += len(here)
+                anew = here[other[here]]
+                if len(anew):
+                    which, to, _ = Net.expand(net.out, anew % n)
+                    self.arcs_read += len(to)
+                    low = (anew - anew % n)[which] + to
+                    use = d[low] == level + 1
+                    x = anew[which[use]]
+                    delta[anew] = np.bincount(which[use], sigma[x] / sigma[low[use]] * (1 + delta[low[use]]), len(anew))
+                if level:
+                    which, to, e = Net.expand(net.into, here % n)
+                    self.arcs_read += len(to)
+                    low = here[which]
+                    up = low - low % n + to
+                    now = d[up] == level - 1
+                    before = (bd[low] == level) & (bd[up] == level - 1)
+                    if op == "add":
+                        before &= e != edge
+                    use = now | before
+                    low, up, e, now, before = low[use], up[use], e[use], now[use], before[use]
+                    with np.errstate(divide="ignore", invalid="ignore"):
+                        new = np.where(now, sigma[up] / sigma[low] * (1 + delta[low]), 0.0)
+                        was = np.where(before, bs[up] / bs[low] * (1 + bt[low]), 0.0)
+                    above = give(up, e, new - was)
+            todo = np.unique(np.concatenate([rest, above]))
+            level -= 1
+        return seen, out
+
     def _flow_difference(self, d0, s0, t0, changed: np.ndarray, edge: int, op: str) -> np.ndarray:
         """New minus old flow of every arc at a changed vertex; the updated edge has only one side."""
         n, net = self.net.n, self.net
