@@ -239,7 +239,8 @@ def import_files(spark: SparkSession, folder: str) -> DataFrame:
 
 
 def op8_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
-    normal = staged(normalise(staged(write_archives(choose_records(table(spark, sf_dir, "pages"))))))
+    # A task's whole-file streams are normalised where they are made; only the member-wise archives are kept.
+    normal = staged(normalise(write_archives(choose_records(table(spark, sf_dir, "pages")))))
     return read_records(normal, with_payload=False).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
 
