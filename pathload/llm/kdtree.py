@@ -32,7 +32,7 @@ from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 from pathload.llm.common import staged, table
 
 #: Vectors of a shard, queries of a block, vectors of a leaf, queries that a search advances together.
-SHARD, QUERIES, LEAF, TOGETHER = 1 << 16, 1 << 14, 64, 512
+SHARD, QUERIES, LEAF, TOGETHER = 1 << 13, 1 << 14, 128, 4096
 #: Rows that the regions are fitted on (those of least id hash) and most regions; with that many, their boxes are a few MB.
 SAMPLE, REGIONS = 1 << 14, 1 << 12
 
