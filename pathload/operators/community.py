@@ -20,9 +20,10 @@ class Division:
     members: DataFrame
 
 
-def heaviest(edges: DataFrame):
+def heaviest(edges: DataFrame) -> tuple[str, str, float] | None:
     """The edge of most load; loads are rounded so that noise can't choose, ties go to the least ids."""
-    return edges.select("src", "dst", F.round(F.col("ebc") + 1e-9, 6).alias("ebc")).orderBy(F.desc("ebc"), "src", "dst").first()
+    top = edges.select("src", "dst", F.round(F.col("ebc") + 1e-9, 6).alias("ebc")).orderBy(F.desc("ebc"), "src", "dst").first()
+    return None if top is None else (top["src"], top["dst"], float(top["ebc"]))
 
 
 def divisive(graph: Graph, max_steps: int | None = None, min_components: int | None = None, engine: str = "incremental") -> Division:
@@ -36,17 +37,16 @@ def divisive(graph: Graph, max_steps: int | None = None, min_components: int | N
     parts = members[0].select("component").distinct().count()
     steps = []
     while max_steps is None or len(steps) < max_steps:
-        loads = session.loads if session else static_betweenness(now)
-        top = heaviest(loads.edge)
+        top = session.heaviest() if session else heaviest(static_betweenness(now, kind="edge").edge)
         if top is None or (min_components is not None and parts >= min_components):
             break
         step = len(steps) + 1
         if session:
-            session = session.apply([Update("remove", top["src"], top["dst"], step)])
+            session = session.apply([Update("remove", top[0], top[1], step)])
             now = session.graph
-            split = not session.log.where((F.col("seq") == step) & (F.col("case") == "detach")).isEmpty()
+            split = (step, "detach") in session.counts
         else:
-            now = without_edge(now, top["src"], top["dst"])
+            now = without_edge(now, top[0], top[1])
             now = Graph(cut_lineage(now.edges), now.directed, graph.vertices)
             split = True
         if split:
@@ -55,7 +55,7 @@ def divisive(graph: Graph, max_steps: int | None = None, min_components: int | N
             if count > parts:
                 members.append(own)
             parts = count
-        steps.append((step, top["src"], top["dst"], float(top["ebc"]), parts))
+        steps.append((step, *top, parts))
     out = members[0]
     for m in members[1:]:
         out = out.unionByName(m)

@@ -103,6 +103,14 @@ class Session:
             a, b = np.where(a < b, a, b) if len(a) else a, np.where(a < b, b, a) if len(a) else b
         return self.spark.createDataFrame(pa.table({"src": pa.array(a.tolist(), pa.string()), "dst": pa.array(b.tolist(), pa.string()), "ebc": pa.array(self.ebc)}))
 
+    def heaviest(self) -> tuple[str, str, float] | None:
+        """The edge of most load, rounded so that noise can't choose; ties go to the least ids."""
+        if not len(self.ebc):
+            return None
+        load = np.round(self.ebc + 1e-9, 6)
+        ends = [tuple(self.csr.ids[[self.csr.src[i], self.csr.dst[i]]].tolist()) for i in np.flatnonzero(load == load.max()).tolist()]
+        return (*min(e if self.csr.directed else tuple(sorted(e)) for e in ends), float(load.max()))
+
     # -- batches ------------------------------------------------------------------
 
     def validate(self, updates: list[Update], new_vertices: tuple[str, ...] = ()) -> tuple[list[Update], list[tuple[Update, str]]]:
