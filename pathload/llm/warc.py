@@ -108,7 +108,13 @@ def parse_record(raw: bytes) -> dict:
 
 
 def choose_records(pages: DataFrame, least_bytes: int = 0) -> DataFrame:
-    """(page_id, url, html, digest, refers_to, refers_url): revisits by equal digest, settled on ids and digests alone."""
+    """(page_id, url, body, refers_to, refers_url): revisits by equal digest, settled on ids and digests alone. body: the payload, deflated for the way."""
+
+    def press(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            raw = [(x.as_py() or "").encode() for x in b.column(2)]
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array([hashlib.sha1(r).hexdigest() for r in raw]), pa.array([zlib.compress(r, 1) for r in raw], pa.binary())], ["page_id", "url", "hex", "body"])
+
     pages = pages.select("page_id", "url", F.coalesce("html", F.lit("")).alias("html"))
     light = pages.select("page_id", "url", F.sha1(F.encode("html", "UTF-8")).alias("hex"), F.octet_length("html").alias("size")).where(F.col("page_id").isNotNull() & (F.col("size") >= least_bytes))
     best = light.groupBy("hex").agg(F.max(F.struct("page_id", "url")).alias("top"), F.count(F.lit(1)).alias("n")).where("n > 1")
@@ -116,7 +122,7 @@ def choose_records(pages: DataFrame, least_bytes: int = 0) -> DataFrame:
     revisit = revisit.groupBy("page_id", "hex").agg(F.max("top.page_id").alias("refers_to"), F.max("top.url").alias("refers_url"))
     total = pages.agg(F.sum(F.octet_length("html"))).first()[0] or 0
     tasks = max(shuffle_parts(pages.sparkSession), -(-total // TASK_BYTES))
-    dealt = pages.repartition(tasks, "page_id").withColumn("hex", F.sha1(F.encode("html", "UTF-8")))
+    dealt = pages.select(F.col("page_id").cast("long"), "url", "html").mapInArrow(press, "page_id bigint, url string, hex string, body binary").repartition(tasks, "page_id")
     return dealt.join(revisit, ["page_id", "hex"], "left").drop("hex")
 
 
@@ -130,10 +136,10 @@ def write_archives(records: DataFrame, archive_bytes: int = ARCHIVE_BYTES) -> Da
             return pa.RecordBatch.from_arrays([pa.array([archive], pa.int64()), pa.array([b"".join([*out, stream.flush()])], pa.binary())], ["archive", "content"])
 
         for b in batches:
-            for page, url, html, refers, refers_url in zip(*b.columns, strict=True):
+            for page, url, body, refers, refers_url in zip(*b.columns, strict=True):
                 if stream is None:
                     held, out, stream = 0, [], zlib.compressobj(LEVEL, zlib.DEFLATED, 31)
-                payload = html.as_py().encode()
+                payload = zlib.decompress(body.as_py())
                 out.append(stream.compress(record_bytes(page.as_py(), url.as_py(), payload, base32_sha1(payload), refers.as_py(), refers_url.as_py())))
                 held += len(payload)
                 if held >= archive_bytes:
@@ -142,7 +148,7 @@ def write_archives(records: DataFrame, archive_bytes: int = ARCHIVE_BYTES) -> Da
         if stream is not None:
             yield done()
 
-    return records.select("page_id", "url", "html", "refers_to", "refers_url").mapInArrow(write, "archive bigint, content binary")
+    return records.select("page_id", "url", "body", "refers_to", "refers_url").mapInArrow(write, "archive bigint, content binary")
 
 
 def normalise_stream(content: bytes, step: int = 1 << 20) -> tuple[bytes, list[tuple[int, int]]]:
