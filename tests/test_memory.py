@@ -61,3 +61,18 @@ def test_lists_of_a_changed_net_are_those_of_a_new_one():
         for x, y in ((b.out, again.out), (b.into, again.into)):
             assert all((p == q).all() for p, q in zip(x, y, strict=True))
         assert a.find(1, 2) == 1 and len(a.out[1]) == (3 if directed else 6)
+
+
+def test_case_counts_without_a_skip(spark):
+    got = register_all()[0]["op_map_case_counts"](spark, TINY)
+    assert sorted(map(tuple, got.collect()), key=str) == by_sql("op_map_case_counts")
+    assert dict(got.dtypes)["n_cases"] == "bigint"
+
+
+@pytest.mark.parametrize("name", ["op_cube_cases", "triage_cases_remove_user_pairs"])
+def test_cases_write_no_path_state(spark, name, monkeypatch):
+    from pathload import queries
+
+    monkeypatch.setattr(queries, "packed_run", None)
+    got = register_all()[0][name](spark, TINY)
+    assert sorted(map(tuple, got.collect()), key=str) == by_sql(name)
