@@ -69,10 +69,18 @@ def test_case_counts_without_a_skip(spark):
     assert dict(got.dtypes)["n_cases"] == "bigint"
 
 
-@pytest.mark.parametrize("name", ["op_cube_cases", "triage_cases_remove_user_pairs"])
+@pytest.mark.parametrize("name", ["op_cube_cases", "triage_cases_remove_user_pairs", "anchors_of_removal"])
 def test_cases_write_no_path_state(spark, name, monkeypatch):
     from pathload import queries
 
     monkeypatch.setattr(queries, "packed_run", None)
     got = register_all()[0][name](spark, TINY)
     assert sorted(map(tuple, got.collect()), key=str) == by_sql(name)
+
+
+def test_anchors_without_such_an_edge(spark, monkeypatch):
+    from pathload import queries
+
+    monkeypatch.setattr(queries, "chosen", lambda *a: [])
+    got = register_all()[0]["anchors_of_removal"](spark, TINY)
+    assert got.columns == ["id"] and not got.collect()
