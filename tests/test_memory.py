@@ -84,3 +84,16 @@ def test_anchors_without_such_an_edge(spark, monkeypatch):
     monkeypatch.setattr(queries, "chosen", lambda *a: [])
     got = register_all()[0]["anchors_of_removal"](spark, TINY)
     assert got.columns == ["id"] and not got.collect()
+
+
+def test_measured_blocks_take_few_sources_at_once(spark, monkeypatch):
+    from pathload.operators import experiments
+    from pathload.operators.graph import Graph
+    from pathload.operators.update import Update
+
+    graph = Graph.from_edges(spark.createDataFrame([(f"v{i}", f"v{(i * i + 1) % 30}") for i in range(30)], "src string, dst string"))
+    work = [Update("add", "v3", "v8", 1), Update("remove", "v3", "v8", 2)]
+    counts = lambda: [tuple(r) for r in experiments.measured_blocks(graph, work, 2, "MP").select("seq", "block", "affected", "touched", "arcs", "state_bytes").orderBy("seq", "block").collect()]
+    whole = counts()
+    monkeypatch.setattr(experiments, "sources_at_once", lambda n, m: 4)
+    assert counts() == whole
