@@ -11,12 +11,20 @@ from pathload.sources.tables import graph_of, load
 from pathload.streaming import updates as st
 
 
+#: A side of more rows than this isn't broadcast: its hash table would be built in the driver's memory.
+BROADCAST_ROWS = 1_000_000
+
+
 def lanes(s, d, hint: str) -> DataFrame:
-    """Customer nation to supplier nation quantities, by a named join strategy."""
+    """Customer nation to supplier nation quantities, by a named join strategy; sides too long to broadcast are shuffled and merged."""
+
+    def hinted(side: DataFrame) -> DataFrame:
+        return side.hint("merge" if hint == "broadcast" and side.count() > BROADCAST_ROWS else hint)
+
     li = load(s, d, "lineitem").select("l_orderkey", "l_suppkey", "l_quantity")
-    orders = load(s, d, "orders").select("o_orderkey", "o_custkey").hint(hint)
-    cust = load(s, d, "customer").select("c_custkey", "c_nationkey").hint(hint)
-    supp = load(s, d, "supplier").select("s_suppkey", "s_nationkey").hint(hint)
+    orders = hinted(load(s, d, "orders").select("o_orderkey", "o_custkey"))
+    cust = hinted(load(s, d, "customer").select("c_custkey", "c_nationkey"))
+    supp = hinted(load(s, d, "supplier").select("s_suppkey", "s_nationkey"))
     joined = li.join(orders, F.col("l_orderkey") == F.col("o_orderkey")).join(cust, F.col("o_custkey") == F.col("c_custkey")).join(supp, F.col("l_suppkey") == F.col("s_suppkey"))
     return joined.groupBy("c_nationkey", "s_nationkey").agg(F.round(F.sum("l_quantity"), 2).alias("quantity"), F.count(F.lit(1)).alias("n"))
 

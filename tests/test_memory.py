@@ -97,3 +97,14 @@ def test_measured_blocks_take_few_sources_at_once(spark, monkeypatch):
     whole = counts()
     monkeypatch.setattr(experiments, "sources_at_once", lambda n, m: 4)
     assert counts() == whole
+
+
+def test_long_sides_are_not_broadcast(spark, monkeypatch):
+    from pathload import coverage_queries
+
+    rows = lambda: sorted(map(tuple, coverage_queries.lanes(spark, TINY, "broadcast").collect()))
+    plan = lambda: coverage_queries.lanes(spark, TINY, "broadcast")._jdf.queryExecution().optimizedPlan().toString()
+    few = rows()
+    assert plan().count("strategy=broadcast") == 3
+    monkeypatch.setattr(coverage_queries, "BROADCAST_ROWS", 1_000)
+    assert plan().count("strategy=broadcast") == 2 and plan().count("strategy=merge") == 1 and rows() == few
