@@ -108,3 +108,18 @@ def test_long_sides_are_not_broadcast(spark, monkeypatch):
     assert plan().count("strategy=broadcast") == 3
     monkeypatch.setattr(coverage_queries, "BROADCAST_ROWS", 1_000)
     assert plan().count("strategy=broadcast") == 2 and plan().count("strategy=merge") == 1 and rows() == few
+
+
+def test_triangles_by_bits_and_by_joins_agree(spark, monkeypatch):
+    from pathload.operators import graph as g
+    from pathload.sources.tables import graph_of
+
+    graph = graph_of(spark, TINY, "coactive")
+    joined = []
+    real = g.triangles
+    monkeypatch.setattr(g, "triangles", lambda x: joined.append(1) or real(x))
+    monkeypatch.setattr(g, "BIT_BYTES", 100)  # several ranges of columns
+    bits = sorted(map(tuple, g.clustering(graph).collect()))
+    assert not joined
+    monkeypatch.setattr(g, "BIT_WORK", 0)
+    assert sorted(map(tuple, g.clustering(graph).collect())) == bits and joined
