@@ -82,11 +82,12 @@ class RunLengthIndex:
         self.run_to = np.empty(len(by), np.int64)
         self.run_to[by] = sums  # the LF image of a run's first row: rows are sorted by first byte, then as before
         self.rows = total
+        self.run_of = np.repeat(np.arange(len(run_size), dtype=np.int32), run_size)  # a row's run without a search
         prefix, have = self.window_class
         full = self.order_len >= length
         a, b = prefix[order], prefix[np.minimum(order + length - have, total - 1)]
         same = np.append(False, (a[1:] == a[:-1]) & (b[1:] == b[:-1]) & full[1:] & full[:-1])
-        self.class_start = np.flatnonzero(~same)
+        self.class_of = np.cumsum(~same) - 1
         self.length = length
 
     @staticmethod
@@ -99,7 +100,7 @@ class RunLengthIndex:
 
     def step(self, row: np.ndarray) -> np.ndarray:
         """Rows of the suffixes one byte longer."""
-        run = np.searchsorted(self.run_start, row, "right") - 1
+        run = self.run_of[row]
         return self.run_to[run] + row - self.run_start[run]
 
     def locate(self, row: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -109,7 +110,7 @@ class RunLengthIndex:
         ends = np.append(self.run_start[1:], self.rows) - 1
         while (open_ := np.flatnonzero(place < 0)).size:
             r = row[open_]
-            run = np.searchsorted(self.run_start, r, "right") - 1
+            run = self.run_of[r]
             done = ends[run] == r
             place[open_[done]] = self.run_sample[run[done]] + moved[open_[done]]
             first = ~done & (self.run_head[run] == 0)  # starts its string: the mark before it is its string's predecessor
@@ -138,13 +139,13 @@ class RunLengthIndex:
         while len(todo):
             row, left, matched = self.step(row), left - 1, matched + 1
             if matched >= self.length:
-                seen_class.append(np.searchsorted(self.class_start, row, "right") - 1)
+                seen_class.append(self.class_of[row])
                 seen_id.append(todo)
                 seen_at.append(left)
             go = left > 0
             row, todo, left = row[go], todo[go], left[go]
         c, s, o = (np.concatenate(x) for x in (seen_class, seen_id, seen_at))
-        least = np.full(len(self.class_start), _LAST, np.int64)
+        least = np.full(int(self.class_of[-1]) + 1, _LAST, np.int64)
         np.minimum.at(least, c, ids[s])
         out[s, o] = least[c]
         return out
@@ -153,7 +154,7 @@ class RunLengthIndex:
 class ByteRepeats(Repeats):
     """Strings of `length` bytes that also start in a text of a smaller id."""
 
-    def __init__(self, length: int = 50, gram: int = 16, whole_characters: bool = False):
+    def __init__(self, length: int = 50, gram: int = 24, whole_characters: bool = False):
         """whole_characters: intervals shrink to UTF-8 character borders, so that what stays is text."""
         self.length, self.gram, self.whole_characters = length, gram, whole_characters
         self.width = 2 * length - gram  # the longest super-string
@@ -167,7 +168,9 @@ class ByteRepeats(Repeats):
             return np.zeros(0, U64), z, z, np.zeros(0, bool)
         eight = np.ndarray(n - 7, "<u8", np.ascontiguousarray(data), strides=(1,))
         m = n - self.gram + 1
-        h = mix64(eight[:m] * U64(0x9E3779B97F4A7C15) + mix64(eight[self.gram - 8 : self.gram - 8 + m]))
+        h = mix64(eight[self.gram - 8 : self.gram - 8 + m])
+        for at in range((self.gram - 1) // 8 * 8 - 8, -1, -8):  # all bytes of a gram, so that a common phrase shorter than it is no anchor that many texts share
+            h = mix64(eight[at : at + m] * U64(0x9E3779B97F4A7C15) + h)
         anchor = anchors_of(h, self.length - self.gram + 1)
         inside = np.ones(len(anchor), bool)
         for e in off[1:-1].tolist():
