@@ -41,6 +41,38 @@ def test_two_sides_equal_one_block(seed, monkeypatch):
     assert np.allclose(flows.loads(), Block(Net(n, a, b), np.arange(n)).loads("vertex")[0], rtol=1e-10)
 
 
+@pytest.mark.parametrize("seed", range(12))
+def test_parts_behind_bridges_count_as_ends(seed, monkeypatch):
+    monkeypatch.setattr(scopes, "SHARED", 3)
+    monkeypatch.setattr(scopes, "TWO_SIDED", 1 << 20)
+    rng = np.random.default_rng(seed)
+    a, b, first = [], [], [0]
+    for _ in range(3):  # groups in a chain, one edge apart; now and then both at one vertex
+        p, q = int(rng.integers(30, 50)), int(rng.integers(2, 5))
+        a += [first[-1] + x for x in range(p) for _ in range(2)]
+        b += [first[-1] + p + int(x) for _ in range(p) for x in rng.choice(q, 2, replace=False)]
+        first.append(first[-1] + p + q)
+    a += [0, first[1] + seed % 2]
+    b += [first[1], first[2] + 3]
+    n = first[-1]
+    key = np.unique(np.minimum(a, b) * n + np.maximum(a, b))
+    a, b = key // n, key % n
+    label, stay, weight, behind = scopes.parted(n, scopes.labels(n, a, b), a, b)
+    assert (~stay).sum() == 2
+    got = behind
+    for r in np.unique(label):
+        own = np.flatnonzero(label == r)
+        at = np.cumsum(label == r) - 1
+        use = stay & (label[a] == r)
+        x, y = at[a[use]], at[b[use]]
+        hub = sides.hubs(len(own), x, y)
+        flows = sides.Flows(sides.Sides.of(hub, np.zeros(len(own), int), x, y, weight[own]))
+        for lo, hi in flows.sides.jobs(7):
+            flows.add(lo, hi)
+        got[own] += flows.loads()
+    assert np.allclose(got, Block(Net(n, a, b), np.arange(n)).loads("vertex")[0], rtol=1e-10)
+
+
 def test_supply_is_not_searched_by_lists(spark, monkeypatch):
     query = register_all()[0]["inc_mixed_supply"]
     kept = {r["id"]: r["vbc"] for r in query(spark, TINY).collect()}
