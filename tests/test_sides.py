@@ -82,3 +82,33 @@ def test_supply_is_not_searched_by_lists(spark, monkeypatch):
         monkeypatch.setattr(scopes, name, None if name != "Dense" else type("Dense", (), {}))
     got = {r["id"]: r["vbc"] for r in query(spark, TINY).collect()}
     assert set(got) == set(kept) and np.allclose([got[x] for x in kept], list(kept.values()), rtol=1e-9, atol=2e-6)
+
+
+@pytest.mark.parametrize("picked", [0, 200, 1 << 40])
+@pytest.mark.parametrize("seed", range(8))
+def test_edge_loads_of_two_sides_equal_one_block(seed, picked, monkeypatch):
+    monkeypatch.setattr(sides, "RIMS", (4, 16, 1024)[seed % 3])
+    monkeypatch.setattr(sides, "PICKED", picked)  # all by lists, as counted, all by products
+    monkeypatch.setattr(sides, "PICKS", 7)
+    n, a, b = graph(seed)
+    hub = sides.hubs(n, a, b)
+    cross = hub[a] != hub[b]
+    flows = sides.Flows(sides.Sides.of(hub, scopes.labels(n, a[cross], b[cross]), a, b, edges=True))
+    for lo, hi in flows.sides.jobs(7):
+        flows.add(lo, hi)
+    vertex, edge = Block(Net(n, a, b), np.arange(n)).loads()
+    assert np.allclose(flows.loads(), vertex, rtol=1e-10) and np.allclose(flows.edge_loads(), edge, rtol=1e-10)
+
+
+@pytest.mark.parametrize("name", ["inv_sum_vbc", "inv_sum_ebc", "static_vbc_blocks", "static_ebc_only", "op_dense_rank_load", "op_cume_dist_load", "op_percent_rank_load", "op_ntile_load"])
+def test_large_static_runs_are_not_searched_by_lists(spark, name, monkeypatch):
+    from pathload.plans import blocks
+
+    query = register_all()[0][name]
+    kept = sorted(map(tuple, query(spark, TINY).collect()))
+    monkeypatch.setattr(blocks, "SCOPES_FROM", 0)
+    monkeypatch.setattr(blocks, "run_blocks", None)
+    monkeypatch.setattr(scopes, "SHARED", 8)
+    monkeypatch.setattr(scopes, "TWO_SIDED", 1 << 20)
+    got = sorted(map(tuple, query(spark, TINY).collect()))
+    assert [x[:-1] for x in got] == [x[:-1] for x in kept] and np.allclose([x[-1] for x in got], [x[-1] for x in kept], rtol=1e-9, atol=2e-6)
